@@ -1,0 +1,180 @@
+"""Secret scan: patterns find candidates, a random forest removes false positives.
+
+The forest looks at a candidate's length, its character transitions, how much of
+it dictionary letters cover, the path (source) it lies in and the words beside
+it. It is learnt on the driver from labelled findings, a small table made here
+from the public formats of such secrets; its trees become one SQL expression, so
+that scanning runs inside the JVM over whole texts.
+"""
+
+from __future__ import annotations
+
+import random
+
+import numpy as np
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+# Public formats of credentials.
+PATTERNS = {
+    "aws_key": r"\bAKIA[0-9A-Z]{16}\b",
+    "github_token": r"\bgh[pousr]_[A-Za-z0-9]{36}\b",
+    "assigned": r"(?i)\b(?:password|passwd|pwd|secret|token|api_?key|access_?key)\b\s{0,3}[:=]\s{0,3}[\"']?[^\s\"']{8,200}",
+    "private_key": r"-----BEGIN [A-Z ]{0,30}PRIVATE KEY-----",
+}
+CONTEXT = ("key", "token", "secret", "password", "auth", "credential", "api", "login")
+PLACEHOLDERS = ("example", "changeme", "xxxx", "your", "password", "placeholder", "dummy", "test", "12345", "****", "secret", "redacted")
+FEATURES = ("length", "alpha_digit", "case_turns", "same_twice", "vowel_share", "digit_share", "hex_only", "distinct_share", "placeholder", "path_test", "context", "named")
+
+
+def feature_sql(c: str = "cand", before: str = "before", path: str = "source", kind: str = "kind") -> dict[str, str]:
+    """Each feature as SQL that Spark and DuckDB both read; all are whole numbers."""
+    n = f"greatest(length({c}), 1)"
+    gone = lambda pattern: f"(length({c}) - length(regexp_replace({c}, '{pattern}', '{{}}')))"
+    count = lambda pattern, keep="": gone(pattern).format(keep)
+    has = lambda col, words: "CASE WHEN " + " OR ".join(f"lower({col}) LIKE '%{w}%'" for w in words) + " THEN 1 ELSE 0 END"
+    return {
+        "length": f"length({c})",
+        "alpha_digit": count("[A-Za-z][0-9]"),
+        "case_turns": count("[a-z][A-Z]"),
+        "same_twice": count("(aa|bb|cc|dd|ee|ff|gg|hh|ii|kk|ll|mm|nn|oo|pp|rr|ss|tt|xx|zz|00|11|22|33|44|55|66|77|88|99)"),
+        "vowel_share": f"({count('[aeiouAEIOU]')} * 100) {{div}} {n}",
+        "digit_share": f"({count('[0-9]')} * 100) {{div}} {n}",
+        "hex_only": f"CASE WHEN {count('[0-9a-f]')} = length({c}) THEN 1 ELSE 0 END",
+        "distinct_share": f"({{distinct}} * 100) {{div}} {n}",
+        "placeholder": has(c, PLACEHOLDERS),
+        "path_test": has(f"coalesce({path}, '')", ("test", "example", "fixture", "docs")),
+        "context": has(before, CONTEXT),
+        "named": f"CASE WHEN {kind} = 'assigned' THEN 0 ELSE 1 END",
+    }
+
+
+def spark_features() -> dict[str, str]:
+    distinct = "size(array_distinct(split(cand, '')))"
+    return {k: v.format(div="div", distinct=distinct) if "{" in v else v for k, v in feature_sql().items()}
+
+
+def duck_features() -> dict[str, str]:
+    distinct = "len(list_distinct(string_split(cand, '')))"
+    return {k: v.format(div="//", distinct=distinct).replace("', '')", "', '', 'g')") for k, v in feature_sql().items()}
+
+
+def _features(cand: str, before: str, path: str, kind: str) -> list[int]:
+    """The same features in Python, for learning."""
+    import re
+
+    n, low = max(1, len(cand)), cand.lower()
+    twos = lambda p: 2 * len(re.findall(p, cand))
+    return [
+        len(cand), twos("[A-Za-z][0-9]"), twos("[a-z][A-Z]"),
+        twos("aa|bb|cc|dd|ee|ff|gg|hh|ii|kk|ll|mm|nn|oo|pp|rr|ss|tt|xx|zz|00|11|22|33|44|55|66|77|88|99"),
+        len(re.findall("[aeiouAEIOU]", cand)) * 100 // n, len(re.findall("[0-9]", cand)) * 100 // n,
+        int(not re.sub("[0-9a-f]", "", cand)), len(set(cand)) * 100 // n,
+        int(any(w in low for w in PLACEHOLDERS)), int(any(w in (path or "").lower() for w in ("test", "example", "fixture", "docs"))),
+        int(any(w in before.lower() for w in CONTEXT)), int(kind != "assigned"),
+    ]
+
+
+def labelled_findings(n: int = 2400, seed: int = 5) -> list[tuple[list[int], int]]:
+    """(features, 1 for a secret) of `n` findings: random keys against placeholders, words, code and repeated characters."""
+    rng = random.Random(seed)
+    pick = lambda chars, k: "".join(rng.choice(chars) for _ in range(k))
+    upper, lower, digits = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz", "0123456789"
+    word = lambda: "".join(rng.choice("bcdfglmnprst") + rng.choice("aeiou") + rng.choice(["", "n", "s", "r"]) for _ in range(rng.randint(2, 4)))
+    out = []
+    for i in range(n):
+        secret, path, before = i % 2, rng.choice(["src3", "app/settings.py", "deploy/prod.env", "notes"]), f"{word()} {word()} "
+        kind = rng.choice(["assigned", "assigned", "aws_key", "github_token"])
+        if kind == "aws_key":
+            cand = "AKIA" + (pick(upper + "234567", 16) if secret else rng.choice([pick("X", 16), "IOSFODNN7EXAMPLE", pick("A", 16), pick("0", 16)]))
+        elif kind == "github_token":
+            cand = "ghp_" + (pick(upper + lower + digits, 36) if secret else pick(rng.choice("xX0aA"), 36))
+        else:
+            name = rng.choice(["password", "token", "secret", "api_key"])
+            before += name + rng.choice([" = ", "=", ": "])
+            if secret:
+                cand = rng.choice([pick("0123456789abcdef", rng.choice([18, 32, 40, 64])), pick(upper + lower + digits, rng.randint(12, 48)), pick(upper + lower + digits + "!@#-_", rng.randint(10, 24))])
+            else:
+                cand = rng.choice([word() + word(), "changeme" + pick(digits, 2), "your_" + name + "_here", pick("x", rng.randint(8, 20)), "${" + word().upper() + "_KEY}", "get_" + word() + "(" + word() + ")", "example" + pick(lower, 4), "password123", "<" + word() + "-" + word() + ">", word() + "." + word() + "." + word(), pick("*", rng.randint(8, 16))])
+                path = rng.choice([path, "tests/fixture", "docs/example"])
+        if secret and rng.random() < 0.03:
+            path = "tests/fixture"
+        out.append((_features(cand, before, path, kind), secret))
+    return out
+
+
+def grow_forest(rows: list[tuple[list[int], int]], trees: int = 15, depth: int = 6, least: int = 8, seed: int = 3) -> list:
+    """Random forest by Gini gain: a tree is a share of secrets, or (feature, bound, left if <= bound, right)."""
+    x, y = np.array([r[0] for r in rows]), np.array([r[1] for r in rows], float)
+    rng = np.random.default_rng(seed)
+
+    def grow(at, level):
+        share = y[at].mean()
+        if level == depth or len(at) < 2 * least or share in (0.0, 1.0):
+            return int(round(1000 * share))
+        best = None
+        for f in sorted(rng.choice(x.shape[1], 4, replace=False)):
+            values = np.unique(x[at, f])
+            for bound in values[:-1][:: max(1, len(values) // 16)]:
+                left = x[at, f] <= bound
+                k = left.sum()
+                if min(k, len(at) - k) >= least:
+                    a, b = y[at][left].mean(), y[at][~left].mean()
+                    cost = k * a * (1 - a) + (len(at) - k) * b * (1 - b)
+                    if best is None or cost < best[0] - 1e-12:
+                        best = (cost, int(f), int(bound), left)
+        if best is None:
+            return int(round(1000 * share))
+        return best[1], best[2], grow(at[best[3]], level + 1), grow(at[~best[3]], level + 1)
+
+    return [grow(rng.integers(0, len(y), len(y)), 0) for _ in range(trees)]
+
+
+def tree_sql(tree) -> str:
+    if isinstance(tree, int):
+        return str(tree)
+    f, bound, left, right = tree
+    return f"CASE WHEN {FEATURES[f]} <= {bound} THEN {tree_sql(left)} ELSE {tree_sql(right)} END"
+
+
+def forest_sql(forest: list) -> str:
+    """Sum over trees of thousandths; the mean share is that by 1000 and the number of trees."""
+    return " + ".join(f"({tree_sql(t)})" for t in forest)
+
+
+CONTEXT_CHARS = 40
+
+
+def _as_hit(kind: str):
+    return lambda m: F.struct(F.lit(kind).alias("kind"), m.alias("hit"))
+
+
+def scan_secrets(docs: DataFrame, forest: list | None = None, id_col: str = "doc_id", text_col: str = "text", path_col: str = "source") -> DataFrame:
+    """(doc_id, kind, cand, n, score, is_secret): the distinct candidates of each text, how often each occurs, its forest score.
+
+    Every pattern runs over the whole text. Candidates of an assignment are the
+    assigned value. `is_secret` at half of the trees' mean share. Null and empty
+    texts and ids: no candidates, or candidates of a null id. Repeated rows
+    repeat their findings. Neighbouring words are the 40 characters before a
+    candidate's first place. Private-key headers need no forest.
+    """
+    forest = grow_forest(labelled_findings()) if forest is None else forest
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(path_col).cast("string").alias("source"), F.col(text_col).cast("string").alias("text"))
+    hits = None
+    quick = F.lit(False)
+    for kind, pattern in PATTERNS.items():
+        quick = quick | F.rlike("text", F.lit(pattern))
+        found = F.transform(F.regexp_extract_all("text", F.lit(pattern), 0), _as_hit(kind))
+        hits = found if hits is None else F.concat(hits, found)
+    each = base.where(quick).withColumn("hits", hits)
+    each = each.withColumn("h", F.explode(F.array_distinct("hits"))).withColumn("n", F.size(F.filter("hits", lambda x: x == F.col("h"))))
+    each = each.withColumn("kind", F.col("h.kind")).withColumn(
+        "cand", F.when(F.col("kind") == "assigned", F.regexp_replace("h.hit", r"^\w+\s{0,3}[:=]\s{0,3}[\"']?", "")).otherwise(F.col("h.hit"))
+    )
+    start = F.call_function("locate", F.col("h.hit"), F.col("text")) + F.length("h.hit") - F.length("cand")
+    each = each.withColumn("start", start)
+    each = each.withColumn("before", F.substring("text", F.greatest(F.col("start") - CONTEXT_CHARS, F.lit(1)), F.least(F.lit(CONTEXT_CHARS), F.col("start") - 1)))
+    scored = each.select("doc_id", "kind", "cand", "n", *[F.expr(sql).alias(name) for name, sql in spark_features().items()])
+    scored = scored.withColumn("total", F.expr(forest_sql(forest)))
+    score = F.when(F.col("kind") == "private_key", F.lit(1000)).otherwise(F.expr(f"total div {len(forest)}")).cast("int")
+    return scored.select("doc_id", "kind", "cand", "n", score.alias("score"), (score >= 500).alias("is_secret"))
