@@ -1,4 +1,4 @@
 """All registered queries of the library and their SQL."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from callweave.plans import calls, measures, patterns, relational, streams  # noqa: F401  (they enter their queries)
+from callweave.plans.registry import ORACLES, QUERIES  # noqa: F401
