@@ -54,7 +54,8 @@ class ObjectStore:
 
     def append(self, key: str, data: bytes) -> str:
         """Add an immutable part; parts sort in the order of appends."""
-        part = f"{key}/part-{len(self.list(key)):08d}"
+        parts = self.list(key)
+        part = f"{key}/part-{int(parts[-1][-8:]) + 1 if parts else 0:08d}"
         self.put(part, data)
         return part
 
@@ -62,10 +63,10 @@ class ObjectStore:
         return b"".join(self.get(p) for p in self.list(key))
 
     def compact(self, key: str) -> None:
-        """Make one part of all; the new part is complete before an old one goes."""
+        """Make one part of all, under the last one's name; it is complete before an old one goes. Not for use beside appends."""
         parts = self.list(key)
         if len(parts) > 1:
-            self.put(f"{key}/part-{len(parts) - 1:08d}", self.read_parts(key))
+            self.put(parts[-1], self.read_parts(key))
             for p in parts[:-1]:
                 self.delete(p)
 
