@@ -95,6 +95,9 @@ def _record(data: bytes, at: int) -> tuple[dict, int] | str:
     if not all(b":" in x for x in lines):
         return "broken header"
     head = {k.strip().lower().decode("latin-1"): v.strip().decode("utf-8", "replace") for k, v in (x.split(b":", 1) for x in lines)}
+    single = [x.split(b":", 1)[0].strip().lower() for x in lines]
+    if len({x for x in single if x != b"warc-concurrent-to"}) != sum(x != b"warc-concurrent-to" for x in single):
+        return "repeated header field"  # two headers that a tear has run together
     if not re.fullmatch(r"\d{1,15}", head.get("content-length", "")):
         return "no length"
     start = top + 4
@@ -138,7 +141,7 @@ def _member(data: bytes, at: int) -> tuple[bytes, int] | str:
 def salvage(data: bytes, inside: bool = False):
     """Yield ("record", fields) and ("gap", start, end, reason) of an archive's bytes, in order; gaps count bytes of `data`."""
     at, gap, why = 0, None, ""
-    mark = re.compile(rb"(?<![^\n])WARC/1\." if inside else rb"(?<![^\n])WARC/1\.|\x1f\x8b\x08")
+    mark = re.compile(rb"WARC/1\." if inside else rb"WARC/1\.|\x1f\x8b\x08")  # a tear may leave no line end before it
     while at < len(data):
         found = None
         if not inside and data.startswith(b"\x1f\x8b\x08", at):
