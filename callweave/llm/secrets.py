@@ -1,8 +1,7 @@
 """Secret scan: patterns find candidates, a random forest removes false positives.
 
 The forest looks at a candidate's length, its character transitions, how much of
-it dictionary letters cover, the path (source) it lies in and the words beside
-it. It is learnt on the driver from labelled findings, a small table made here
+it dictionary words cover, the path (source) it lies in and the words beside it. It is learnt on the driver from labelled findings, a small table made here
 from the public formats of such secrets; its trees become one SQL expression, so
 that scanning runs inside the JVM over whole texts.
 """
@@ -24,7 +23,9 @@ PATTERNS = {
 }
 CONTEXT = ("key", "token", "secret", "password", "auth", "credential", "api", "login")
 PLACEHOLDERS = ("example", "changeme", "xxxx", "your", "password", "placeholder", "dummy", "test", "12345", "****", "secret", "redacted")
-FEATURES = ("length", "alpha_digit", "case_turns", "same_twice", "vowel_share", "digit_share", "hex_only", "distinct_share", "placeholder", "path_test", "context", "named")
+# Common words of identifiers, placeholders and prose, for the share of a candidate that a dictionary covers.
+DICTIONARY = tuple("the and for with this that from have your here name user users admin root login auth pass word password token secret key api access client server host port file path data value test example sample demo change replace insert update default config setting local public private home main index page content string number null none true false get set put post http https www com org env var prod dev stage".split())
+FEATURES = ("length", "alpha_digit", "case_turns", "same_twice", "vowel_share", "digit_share", "hex_only", "distinct_share", "dictionary", "placeholder", "path_test", "context", "named")
 
 
 def feature_sql(c: str = "cand", before: str = "before", path: str = "source", kind: str = "kind") -> dict[str, str]:
@@ -42,6 +43,7 @@ def feature_sql(c: str = "cand", before: str = "before", path: str = "source", k
         "digit_share": f"({count('[0-9]')} * 100) {{div}} {n}",
         "hex_only": f"CASE WHEN {count('[0-9a-f]')} = length({c}) THEN 1 ELSE 0 END",
         "distinct_share": f"({{distinct}} * 100) {{div}} {n}",
+        "dictionary": f"(({count('(' + '|'.join(sorted(DICTIONARY, key=lambda w: (-len(w), w))) + ')').replace(f'regexp_replace({c},', f'regexp_replace(lower({c}),')}) * 100) {{div}} {n}",
         "placeholder": has(c, PLACEHOLDERS),
         "path_test": has(f"coalesce({path}, '')", ("test", "example", "fixture", "docs")),
         "context": has(before, CONTEXT),
@@ -70,6 +72,7 @@ def _features(cand: str, before: str, path: str, kind: str) -> list[int]:
         twos("aa|bb|cc|dd|ee|ff|gg|hh|ii|kk|ll|mm|nn|oo|pp|rr|ss|tt|xx|zz|00|11|22|33|44|55|66|77|88|99"),
         len(re.findall("[aeiouAEIOU]", cand)) * 100 // n, len(re.findall("[0-9]", cand)) * 100 // n,
         int(not re.sub("[0-9a-f]", "", cand)), len(set(cand)) * 100 // n,
+        (len(cand) - len(re.sub("|".join(sorted(DICTIONARY, key=lambda w: (-len(w), w))), "", low))) * 100 // n,
         int(any(w in low for w in PLACEHOLDERS)), int(any(w in (path or "").lower() for w in ("test", "example", "fixture", "docs"))),
         int(any(w in before.lower() for w in CONTEXT)), int(kind != "assigned"),
     ]
