@@ -46,6 +46,22 @@ def forget(df: DataFrame) -> None:
         at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
-def hot_salt(*cols: Column, salts: int) -> Column:
-    """A salt in [0, salts) that depends on content only, so that a retried task deals rows out alike."""
-    return F.pmod(F.xxhash64(*cols), F.lit(salts))
+class Masked:
+    """A frame with its columns renamed c0, c1, ..., so that no column of the caller's can clash with an operator's own.
+
+    `col(name)` finds a column, `back()` selects the caller's columns under
+    their names. Operators name their own columns otherwise than c and digits.
+    """
+
+    def __init__(self, df: DataFrame):
+        self.names = df.columns
+        self.df = df.toDF(*[f"c{i}" for i in range(len(self.names))])
+
+    def name(self, of: str) -> str:
+        return f"c{self.names.index(of)}"
+
+    def col(self, of: str) -> Column:
+        return F.col(self.name(of))
+
+    def back(self, **changed: Column) -> list[Column]:
+        return [changed.get(n, F.col(f"c{i}")).alias(n) for i, n in enumerate(self.names)]

@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from callweave.llm.common import cut
+from callweave.llm.common import Masked, cut
 
 RATIO, LEAST_PAGES = 0.1, 3
 
@@ -43,22 +43,21 @@ def boilerplate(pages: DataFrame, host: Column, text: Column, ratio: float = RAT
 
 
 def drop_boilerplate(docs: DataFrame, host: str = "source", text: str = "text", ratio: float = RATIO, least_pages: int = LEAST_PAGES) -> DataFrame:
-    """Every row of `docs` with its columns, `text` without boilerplate lines, and __lines and __dropped behind.
+    """Every row of `docs` with its columns, `text` without boilerplate lines, and n_lines and n_dropped behind.
 
     Lines end at newlines and keep their order. Rows with a null host or text
     stay as they are (a null text counts no lines); empty texts are one blank
     line; a text of boilerplate only becomes empty. Repeated rows are pages of
-    their own. Own columns called __lines or __dropped are not allowed.
+    their own. Own columns called n_lines or n_dropped give way to the new ones.
     """
-    found = cut(boilerplate(docs, F.col(host), F.col(text), ratio, least_pages)).withColumnRenamed("host", "__host")
-    old = _lines(F.col(text))
-    kept = F.filter(old, lambda x: ~F.array_contains(F.col("marks"), _mark(x)) | (F.trim(x) == ""))
-    hit = F.col("marks").isNotNull() & F.col(text).isNotNull()
-    return (
-        docs.join(found, F.col(host) == F.col("__host"), "left")
-        .withColumn("__lines", F.coalesce(F.size(F.when(F.col(text).isNotNull(), old)), F.lit(0)))
-        .withColumn("__kept", F.when(hit, kept))
-        .withColumn("__dropped", F.when(hit, F.col("__lines") - F.size("__kept")).otherwise(F.lit(0)))
-        .withColumn(text, F.when(hit, F.array_join("__kept", "\n")).otherwise(F.col(text)))
-        .select(*docs.columns, "__lines", "__dropped")
-    )
+    m = Masked(docs)
+    found = cut(boilerplate(m.df, m.col(host), m.col(text), ratio, least_pages))
+    whole = m.col(text)
+    kept = F.filter(_lines(whole), lambda x: ~F.array_contains(F.col("marks"), _mark(x)) | (F.trim(x) == ""))
+    hit = F.col("marks").isNotNull() & whole.isNotNull()
+    lines = F.coalesce(F.size(F.when(whole.isNotNull(), _lines(whole))), F.lit(0))
+    done = m.df.join(found, m.col(host) == F.col("host"), "left").withColumn("kept", F.when(hit, kept)).withColumn("lines", lines)
+    dropped = F.when(hit, F.col("lines") - F.size("kept")).otherwise(F.lit(0))
+    own = m.back(**{text: F.when(hit, F.array_join("kept", "\n")).otherwise(whole)})
+    own = [c for c, n in zip(own, m.names) if n not in ("n_lines", "n_dropped")]
+    return done.select(*own, F.col("lines").alias("n_lines"), dropped.alias("n_dropped"))

@@ -94,8 +94,9 @@ def mix(
     max_epochs: int = 1,
     seed: int = 17,
     tokens: Column | None = None,
+    tell: bool = True,
 ) -> DataFrame:
-    """A row (own columns, __domain, __tokens, __epoch) for each document and epoch that is taken.
+    """A row (own columns and, if `tell`, __domain, __tokens, __epoch) for each document and epoch that is taken.
 
     The budget is `budget_share` of all tokens. A leaf's prefix never exceeds
     its budget; documents are taken whole. Null lang or source are leaves named
@@ -104,9 +105,11 @@ def mix(
     order (repeated rows) are taken or left together. An empty table gives none.
     """
     blank = lambda c: F.coalesce(c.cast("string"), F.lit(""))
-    named = docs.withColumns({"__domain": blank(domain), "__lang": blank(F.col("lang")), "__source": blank(F.col("source")), "__id": blank(F.col("doc_id"))})
+    own = len(docs.columns)
     counted = tokens if tokens is not None else word_tokens(F.col("text"))
-    slim = cut(named.select("__domain", "__lang", "__source", "__id", counted.alias("__tokens")))  # texts are counted once here
+    keys = [blank(c).alias("k") for c in (domain, F.col("lang"), F.col("source"), F.col("doc_id"))]
+    named = docs.select("*", *keys, counted.alias("k")).toDF(*[f"c{i}" for i in range(own)], "__domain", "__lang", "__source", "__id", "__tokens")
+    slim = cut(named.select("__domain", "__lang", "__source", "__id", "__tokens"))  # texts are counted once here
     leaves = slim.groupBy(F.col("__domain").alias("domain"), F.col("__lang").alias("lang"), F.col("__source").alias("source"))
     leaves = cut(leaves.agg(F.sum("__tokens").alias("tokens"), F.count(F.lit(1)).alias("docs")))
     total = leaves.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0]
@@ -141,11 +144,13 @@ def mix(
         .agg(F.max("__key").alias("__last"))
     )
     edges = cut(edge.join(last, leaf, "left").select(*leaf, "__edge", "__last"))
-    decided = place(named.withColumn("__tokens", counted)).join(edges, leaf, "left")
+    decided = place(named).join(edges, leaf, "left")
     in_rest = F.col("__edge").isNull() | (F.col("__range") < F.col("__edge")) | F.coalesce(F.col("__key") <= F.col("__last"), F.lit(False))
     in_rest = in_rest & (F.col("__rest") > 0)
     epochs = F.concat(
         F.when(F.col("__full") > 0, F.sequence(F.lit(0), F.greatest(F.col("__full"), F.lit(1)) - 1)).otherwise(F.array().cast("array<int>")),
         F.when(in_rest, F.array("__full")).otherwise(F.array().cast("array<int>")),
     )
-    return decided.withColumn("__epoch", F.explode(epochs)).select(*[F.col(c) for c in docs.columns], "__domain", "__tokens", "__epoch")
+    return decided.withColumn("__epoch", F.explode(epochs)).select(
+        *[F.col(f"c{i}").alias(n) for i, n in enumerate(docs.columns)], *(["__domain", "__tokens", "__epoch"] if tell else [])
+    )

@@ -14,6 +14,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from callweave.llm.common import Masked
 
 WORD = r"[^\W_]+|[^\w\s]+|_+"
 
@@ -36,7 +39,7 @@ class QualityParams:
 class Grams:
     """Hashed unigrams and bigrams of words and runs of punctuation; remembers words, up to `memory` of them."""
 
-    def __init__(self, bits: int, memory: int = 200_000):
+    def __init__(self, bits: int, memory: int = 100_000):
         self.find, self.mask, self.memory, self.known = re.compile(WORD).findall, (1 << bits) - 1, memory, {}
 
     def __call__(self, text: str | None) -> np.ndarray:
@@ -131,39 +134,39 @@ def train_quality(docs: DataFrame, labels: DataFrame, p: QualityParams = Quality
     return ftrl(rows, p)
 
 
-def score_quality(docs: DataFrame, model: tuple[np.ndarray, float], p: QualityParams = QualityParams(), keep: bool = False) -> DataFrame:
-    """doc_id, held_out, score and predicted of every row; `keep` puts score and predicted behind the rows' own columns.
-
-    Null and empty texts get the score of the bias alone. With `keep`, own
-    columns called __score or __predicted are not allowed.
-    """
-    bits, scale = p.bits, p.scale
-    weights = docs.sparkSession.sparkContext.broadcast(model[0].astype(np.float64))  # 2**bits numbers
-    bias = model[1]
-
-    @F.pandas_udf("double")
-    def score(texts):
-        import pandas as pd
-
-        hashed, out = Grams(bits), []
-        for t in texts:
-            g = hashed(t)
-            dot = weights.value[g].sum() * (scale / max(1, len(g)))
-            out.append(1 / (1 + np.exp(-np.clip(dot + bias, -35, 35))))
-        return pd.Series(out, dtype="float64")
-
-    marked = docs.withColumn("__score", score(F.col("text").cast("string")))
-    if keep:
-        return marked.withColumn("__predicted", (F.col("__score") >= p.threshold).cast("int"))
-    return marked.select(
+def score_quality(docs: DataFrame, model: tuple[np.ndarray, float], p: QualityParams = QualityParams()) -> DataFrame:
+    """doc_id, held_out, score and predicted of every row; null and empty texts get the score of the bias alone."""
+    scored = _scored(docs.select(F.col("doc_id"), F.col("text")), "text", model, p)
+    return scored.select(
         F.col("doc_id").cast("long").alias("doc_id"),
         F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"),
-        F.col("__score").alias("score"),
-        (F.col("__score") >= p.threshold).cast("int").alias("predicted"),
+        "score",
+        (F.col("score") >= p.threshold).cast("int").alias("predicted"),
     )
 
 
+def _scored(df: DataFrame, text: str, model, p: QualityParams) -> DataFrame:
+    """`df` with `score`; texts become Python strings a few at a time, whatever an Arrow batch holds."""
+    bits, scale, bias = p.bits, p.scale, model[1]
+    weights = df.sparkSession.sparkContext.broadcast(model[0].astype(np.float64))  # 2**bits numbers
+    at_text = df.columns.index(text)
+
+    def run(batches):
+        hashed, w = Grams(bits), weights.value
+        for b in batches:
+            out = np.empty(b.num_rows)
+            for i, t in enumerate(b.column(at_text)):
+                g = hashed(t.as_py())
+                out[i] = w[g].sum() * (scale / max(1, len(g))) + bias
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(1 / (1 + np.exp(-np.clip(out, -35, 35))))], names)
+
+    schema = T.StructType([*df.schema.fields, T.StructField("score", T.DoubleType())])
+    names = schema.fieldNames()
+    return df.mapInArrow(run, schema)
+
+
 def drop_low_quality(docs: DataFrame, labels: DataFrame, train_docs: DataFrame | None = None, p: QualityParams = QualityParams()) -> DataFrame:
-    """The rows of `docs`, with their own columns, that the classifier accepts."""
+    """The rows of `docs`, with their own columns, that the classifier accepts; learnt from `train_docs`, or from `docs`."""
     model = train_quality(docs if train_docs is None else train_docs, labels, p)
-    return score_quality(docs, model, p, keep=True).where("__predicted = 1").select(*[docs[c] for c in docs.columns])
+    m = Masked(docs)
+    return _scored(m.df, m.name("text"), model, p).where(F.col("score") >= p.threshold).select(m.back())

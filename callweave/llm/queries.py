@@ -46,7 +46,7 @@ def op6_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     cleaned = linededup.drop_boilerplate(table(spark, sf_dir, "documents"))
-    return cleaned.select("doc_id", F.col("__lines").alias("n_lines"), F.col("__dropped").cast("int").alias("n_dropped"), "text")
+    return cleaned.select("doc_id", "n_lines", "n_dropped", "text")
 
 
 def op8_vector_dups(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from callweave.llm.common import cut, forget
+from callweave.llm.common import Masked, cut, forget
 from callweave.llm.components import components
 
 
@@ -146,6 +146,8 @@ def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str
 
     Rows with a null id can't be named as a group's smallest and are kept.
     """
-    kept = simhash_groups(docs, id_col, text_col).where("doc_id = component_id").select(F.col("doc_id").alias("__keep")).distinct()
-    known = docs.where(F.col(id_col).isNotNull()).dropDuplicates([id_col])
-    return known.join(kept, F.col(id_col) == F.col("__keep"), "left_semi").unionByName(docs.where(F.col(id_col).isNull()))
+    m = Masked(docs)
+    kept = simhash_groups(docs, id_col, text_col).where("doc_id = component_id").select(F.col("doc_id").alias("keep")).distinct()
+    known = m.df.where(m.col(id_col).isNotNull()).dropDuplicates([m.name(id_col)])
+    named = known.join(kept, m.col(id_col) == F.col("keep"), "left_semi")
+    return named.union(m.df.where(m.col(id_col).isNull())).select(m.back())
