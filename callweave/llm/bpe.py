@@ -77,7 +77,7 @@ def serialise_model(ranks: dict[bytes, int]) -> bytes:
 class Codec:
     """Encoder and decoder of one worker. Remembers pre-tokens, and forgets all of them beyond `memory` entries."""
 
-    def __init__(self, model: bytes, pieces: list[bytes], pattern: str, memory: int = 300_000):
+    def __init__(self, model: bytes, pieces: list[bytes], pattern: str, memory: int = 150_000):
         import sentencepiece
 
         self.sp = sentencepiece.SentencePieceProcessor()
