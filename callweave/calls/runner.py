@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import importlib
 import os
 from collections.abc import Callable, Iterable
 
@@ -50,11 +51,13 @@ def run_calls(
     """
     if runtime:
         runtime.install(calls.sparkSession)
-    code, env = vault.broadcast(), dict(runtime.env) if runtime else {}
+    code, env, packages = vault.broadcast(), dict(runtime.env) if runtime else {}, runtime.packages if runtime else ()
     size = batch_size or 1
 
     def loop(frames: Iterable[pd.DataFrame]):
         os.environ.update(env)
+        for name in packages:
+            importlib.import_module(name)
         cache = CodeCache(code.value, isolation)
         for frame in frames:
             out = []

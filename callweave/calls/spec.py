@@ -14,7 +14,7 @@ class RuntimeSpec:
     py_files: tuple[str, ...] = ()
     archives: tuple[str, ...] = ()
     env: dict[str, str] = field(default_factory=dict)
-    packages: tuple[str, ...] = ()
+    packages: tuple[str, ...] = ()  # importable names; a worker that lacks one fails before its first call
 
     def install(self, spark: SparkSession) -> None:
         for p in self.py_files:

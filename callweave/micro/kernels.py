@@ -8,7 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from callweave.sources.kv_live import KvClient, KvCluster
+from callweave.sources.kv_live import KvClient, KvCluster, driver_host
 from callweave.tables import shared_path
 
 
@@ -56,7 +56,7 @@ def bench_local_vs_remote(spark: SparkSession, local: str, remote: str, workers:
 
 def bench_kv(spark: SparkSession, workers: int, ops: int = 200, shards: int = 2, value_bytes: int = 128) -> DataFrame:
     """(worker, ops, pairs_per_s, latency_ms): synchronous put and get pairs; a pair is two operations."""
-    cluster = KvCluster(shards)
+    cluster = KvCluster(shards, driver_host(spark))
     addresses = cluster.addresses
 
     def run(frames):

@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from callweave.sources.kv_live import KvClient, KvCluster
+from callweave.sources.kv_live import KvClient, KvCluster, driver_host
 
 
 def moments(df: DataFrame, x: str, y: str) -> tuple[np.ndarray, np.ndarray]:
@@ -50,8 +50,8 @@ def stable_rate(largest_eigenvalue: float, staleness: int) -> float:
 class ParamServer:
     """A model in key-value shards: pull keys, push additive updates; one shard serves its requests one by one."""
 
-    def __init__(self, shards: int):
-        self.cluster = KvCluster(shards)
+    def __init__(self, shards: int, host: str = "127.0.0.1"):
+        self.cluster = KvCluster(shards, host)
         self.addresses = self.cluster.addresses
         self.client = KvClient(self.addresses)
 
@@ -77,7 +77,7 @@ def train_async(df: DataFrame, x: str, y: str, *, shards: int = 2, workers: int
     Partitions hold disjoint rows. A task that is tried again repeats its
     updates, which stochastic descent tolerates.
     """
-    server = ParamServer(shards)
+    server = ParamServer(shards, driver_host(df.sparkSession))
     server.set([0.0, 0.0])
     addresses = server.addresses
 

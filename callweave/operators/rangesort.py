@@ -35,8 +35,20 @@ def range_id(key: Column, splitters: list) -> Column:
     return out
 
 
+#: Bits of monotonically_increasing_id that count rows within a partition; the others hold the partition's number.
+ROW_BITS = 33
+
+
+def _place(sorted_df: DataFrame) -> DataFrame:
+    """Write sorted partitions with their number and each row's place, both read off one running id: no further shuffle."""
+    at = F.monotonically_increasing_id()
+    marked = sorted_df.withColumn("__at", at)
+    place = marked.withColumn("part_id", F.shiftright("__at", ROW_BITS).cast("int")).withColumn("pos", F.col("__at").bitwiseAND(F.lit((1 << ROW_BITS) - 1)))
+    return settle(place.drop("__at"))
+
+
 def range_sort(df: DataFrame, keys: list[str], parts: int, rounds: int = 1, shuffle: str = "native") -> DataFrame:
-    """`df` with part_id, sorted by `keys` within parts and parts in order of keys.
+    """`df` with part_id and pos, sorted by `keys` within parts and parts in order of keys.
 
     One round moves every row once and makes parts**2 blocks. Two rounds move it
     twice, first to about sqrt(parts) coarse ranges in storage, then within each,
@@ -44,37 +56,56 @@ def range_sort(df: DataFrame, keys: list[str], parts: int, rounds: int = 1, shuf
     part_id is written before use, because sampled bounds differ between runs.
     """
     if rounds == 1 and shuffle == "native":
-        placed = df.repartitionByRange(parts, *keys).sortWithinPartitions(*keys)
-        return settle(placed.withColumn("part_id", F.spark_partition_id()))
+        return _place(df.repartitionByRange(parts, *keys).sortWithinPartitions(*keys))
     coarse = parts if rounds == 1 else max(1, math.isqrt(parts))
     path = shared_path(df.sparkSession)
     df.repartitionByRange(coarse, *keys).withColumn("coarse", F.spark_partition_id()).write.partitionBy("coarse").parquet(path)
-    stored = df.sparkSession.read.parquet(path)
+    stored = df.sparkSession.read.parquet(path) if not df.isEmpty() else df.withColumn("coarse", F.lit(0))
     fine = math.ceil(parts / coarse)
     placed = stored.repartitionByRange(coarse * fine, "coarse", *keys).sortWithinPartitions("coarse", *keys)
-    return settle(placed.withColumn("part_id", F.spark_partition_id()).drop("coarse").select(*df.columns, "part_id"))
+    return _place(placed.select(*df.columns))
 
 
-def with_global_rank(placed: DataFrame, keys: list[str], name: str = "rk") -> DataFrame:
-    """Ranks 1..n over range-sorted rows: local numbers plus the broadcast counts of the parts before (one row a part)."""
+def with_global_rank(placed: DataFrame, name: str = "rk") -> DataFrame:
+    """Ranks 1..n over range-sorted rows: the place in the part plus the broadcast counts of the parts before (one row a part)."""
     counts = placed.groupBy("part_id").agg(F.count(F.lit(1)).alias("n"))
     before = counts.select("part_id", F.coalesce(F.sum("n").over(Window.orderBy("part_id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    local = F.row_number().over(Window.partitionBy("part_id").orderBy(*keys))
-    return placed.join(F.broadcast(before), "part_id").withColumn(name, (F.col("before") + local).cast("long")).drop("before")
+    return placed.join(F.broadcast(before), "part_id").withColumn(name, F.col("before") + F.col("pos") + 1).drop("before")
+
 
+def validate_sorted(placed: DataFrame, keys: list[str], chunk: int = 1_000_000) -> DataFrame:
+    """One row: rows, breaks of order within parts, breaks between neighbouring parts, and a checksum of the multiset of rows.
 
-def validate_sorted(placed: DataFrame, keys: list[str]) -> DataFrame:
-    """One row: rows, breaks of order within parts, breaks between neighbouring parts, and a checksum of the multiset of rows."""
+    Rows are compared with their neighbours within chunks of a part, chunks by
+    their ends, so that a check of the largest part is spread too.
+    """
     key = F.struct(*keys)
-    data = [c for c in placed.columns if c != "part_id"]
-    ends = placed.groupBy("part_id").agg(F.min(key).alias("low"), F.max(key).alias("high"))
-    outer = ends.withColumn("prev", F.lag("high").over(Window.orderBy("part_id"))).agg(F.count(F.when(F.col("prev") > F.col("low"), 1)).alias("between"))
-    numbered = placed.withColumn("at", F.monotonically_increasing_id())
-    inner = (
-        numbered.withColumn("prev", F.lag(key).over(Window.partitionBy("part_id").orderBy("at")))
-        .agg(F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("prev") > key, 1)).alias("within"), F.sum(F.xxhash64(*data).cast("decimal(38,0)")).alias("checksum"))
+    data = [c for c in placed.columns if c not in ("part_id", "pos")]
+    cut = placed.withColumn("chunk", F.floor(F.col("pos") / chunk))
+    pairs = cut.withColumn("prev", F.lag(key).over(Window.partitionBy("part_id", "chunk").orderBy("pos")))
+    chunks = pairs.groupBy("part_id", "chunk").agg(
+        F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("prev") > key, 1)).alias("within"), F.sum(F.xxhash64(*data).cast("decimal(38,0)")).alias("checksum"), F.min(key).alias("low"), F.max(key).alias("high")
     )
-    return inner.crossJoin(outer).select("n", "within", "between", "checksum")
+    order = Window.orderBy("part_id", "chunk")
+    ends = chunks.withColumn("prev", F.lag("high").over(order)).withColumn("other", F.lag("part_id").over(order) != F.col("part_id"))
+    broken = F.col("prev") > F.col("low")
+    return ends.agg(
+        F.coalesce(F.sum("n"), F.lit(0)).alias("n"),
+        (F.coalesce(F.sum("within"), F.lit(0)) + F.count(F.when(broken & ~F.col("other"), 1))).alias("within"),
+        F.count(F.when(broken & F.col("other"), 1)).alias("between"),
+        F.sum("checksum").alias("checksum"),
+    )
+
+
+def kv_shuffle_load(blocks: DataFrame, shards: int) -> DataFrame:
+    """(shard, requests, bytes): what a key-value shuffle asks of each shard, a put and a get for every block of census()."""
+    shard = F.pmod(F.col("map_id") * 31 + F.col("reduce_id"), F.lit(shards)).cast("int")
+    return blocks.groupBy(shard.alias("shard")).agg((2 * F.count(F.lit(1))).alias("requests"), F.sum("bytes").alias("bytes"))
+
+
+def shuffle_seconds(parts: int, total_bytes: float, workers: int, requests_per_s: float, bytes_per_s_worker: float) -> float:
+    """Time to write and read all blocks: the slower of the medium's request rate and the workers' bandwidth."""
+    return 2 * max(parts * parts / requests_per_s, total_bytes / (workers * bytes_per_s_worker))
 
 
 def census(df: DataFrame, map_id: Column, reduce_id: Column, size: Column) -> DataFrame:

@@ -141,10 +141,10 @@ def kv_atomic_script(t, spark):
 @query("SELECT CAST(user_id AS VARCHAR) AS key, CAST(max(event_id) AS VARCHAR) AS value FROM events GROUP BY user_id")
 def scan_kv_source(t, spark):
     """The last version of each user goes to live shards by the sink and comes back by the source, a partition a shard."""
-    from callweave.sources.kv_live import KvCluster
+    from callweave.sources.kv_live import KvCluster, driver_host
     from callweave.sources.kv_source import KvSource
 
-    cluster = KvCluster(4)
+    cluster = KvCluster(4, driver_host(spark))
     spark.dataSource.register(KvSource)
     where = json.dumps(cluster.addresses)
     last = kv.last_write(as_key_values(t("events"), 4)).select(F.lit(0).alias("shard"), "key", F.col("version").cast("string").alias("value"))

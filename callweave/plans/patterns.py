@@ -170,7 +170,7 @@ def _learn_text(t, spark, fit):
 
 @query()
 def quality_classifier_eval(t, spark):
-    """The paper's order: map to features, gather on one machine behind a size check, dense algebra there."""
+    """The plain order: map to features, gather on one machine behind a size check, dense algebra there."""
     return linear.confusion(_learn_text(t, spark, lambda x, y: linear.fit_ridge(x, y.tolist())), "quality", "predicted")
 
 
@@ -208,9 +208,9 @@ def word_count_objects(t, spark):
     return mapreduce.word_count(t("documents"), shuffle="objects", parts=8)
 
 
-@query("SELECT word, count(*) AS n FROM (" + WORDS.format(by="", t="benchmark") + ") GROUP BY word")
+@query(COUNT)
 def word_count_opaque(t, spark):
-    return mapreduce.word_count_opaque(t("benchmark"))
+    return mapreduce.word_count_opaque(t("documents"))
 
 
 @query("SELECT lang, word, count(*) AS n FROM (" + WORDS.format(by="lang,", t="documents") + ") GROUP BY ALL")
@@ -268,25 +268,25 @@ RANKED = f"SELECT row_number() OVER (ORDER BY {', '.join(LINE_KEYS)}) AS rk, l_o
 @query(RANKED)
 def range_sort_lineitem(t, spark):
     placed = rangesort.range_sort(t("lineitem"), LINE_KEYS, 8)
-    return rangesort.with_global_rank(placed, LINE_KEYS).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
+    return rangesort.with_global_rank(placed).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
 
 
 @query(RANKED)
 def range_sort_two_round(t, spark):
     placed = rangesort.range_sort(t("lineitem"), LINE_KEYS, 9, rounds=2)
-    return rangesort.with_global_rank(placed, LINE_KEYS).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
+    return rangesort.with_global_rank(placed).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
 
 
 @query(RANKED)
 def range_sort_objects(t, spark):
     placed = rangesort.range_sort(t("lineitem"), LINE_KEYS, 4, shuffle="objects")
-    return rangesort.with_global_rank(placed, LINE_KEYS).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
+    return rangesort.with_global_rank(placed).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
 
 
 @query("SELECT row_number() OVER (ORDER BY text, doc_id) AS rk, doc_id FROM documents")
 def range_sort_text(t, spark):
     placed = rangesort.range_sort(t("documents").select("text", "doc_id"), ["text", "doc_id"], 8)
-    return rangesort.with_global_rank(placed, ["text", "doc_id"]).select("rk", "doc_id")
+    return rangesort.with_global_rank(placed).select("rk", "doc_id")
 
 
 BOUNDS = list(range(10_000, 100_001, 10_000))
@@ -319,6 +319,23 @@ def shuffle_object_census(t, spark):
     return rangesort.census(t("lineitem"), F.pmod("l_orderkey", F.lit(8)).cast("int"), rangesort.range_id(F.col("l_extendedprice"), BOUNDS), size.cast("long"))
 
 
+@query("""WITH b AS (SELECT l_orderkey % 8 AS m, len(list_filter([10000,20000,30000,40000,50000,60000,70000,80000,90000,100000], lambda s: s <= l_extendedprice)) AS r, CAST(sum(length(l_returnflag) + 80) AS BIGINT) AS bytes FROM lineitem GROUP BY 1, 2)
+          SELECT CAST((m * 31 + r) % 5 AS INTEGER) AS shard, 2 * count(*) AS requests, CAST(sum(bytes) AS BIGINT) AS bytes FROM b GROUP BY 1""")
+def shuffle_kv_shards(t, spark):
+    """Requests and bytes that the blocks of the census put on each of five key-value shards."""
+    size = (F.length("l_returnflag") + 80).cast("long")
+    blocks = rangesort.census(t("lineitem"), F.pmod("l_orderkey", F.lit(8)).cast("int"), rangesort.range_id(F.col("l_extendedprice"), BOUNDS), size)
+    return rangesort.kv_shuffle_load(blocks, 5)
+
+
+@query("""SELECT medium, CAST(parts AS INTEGER) AS parts, round(2 * greatest(parts * parts / rate, parts * 4e8 / (500 * 35e6)), 3) AS seconds FROM unnest([250e0, 2500e0, 25000e0]) a(parts), (VALUES ('objects', 3500e0), ('kv', 700000e0)) b(medium, rate)""")
+def shuffle_medium_model(t, spark):
+    """Why a sort's blocks go to a key-value tier: bandwidth is alike, but the object store's request rate is what many small blocks exhaust."""
+    rates = {"objects": 3500.0, "kv": 700_000.0}
+    rows = [(m, p, round(rangesort.shuffle_seconds(p, p * 4e8, 500, r, 35e6), 3)) for m, r in rates.items() for p in (250, 2500, 25_000)]
+    return spark.createDataFrame(rows, "medium string, parts int, seconds double")
+
+
 @query("""SELECT CAST(tb AS INTEGER) AS tb, CAST(k AS INTEGER) AS rounds, CAST(tb * 2500 AS BIGINT) AS parts, CAST(round(CASE WHEN k = 1 THEN pow(tb * 2500, 2) ELSE k * pow(tb * 2500, 1 + 1.0 / k) END) AS BIGINT) AS files,
           round(k * tb * 1e12 / round(CASE WHEN k = 1 THEN pow(tb * 2500, 2) ELSE k * pow(tb * 2500, 1 + 1.0 / k) END), 1) AS mean_bytes FROM unnest([1, 10, 100]) u(tb), unnest([1, 2, 3]) v(k)""")
 def shuffle_growth_model(t, spark):

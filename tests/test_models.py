@@ -47,7 +47,7 @@ def test_sort_with_ties_and_a_heavy_key(spark, keys, options):
 
 def test_ranks_equal_order_by(spark):
     df = spark.range(500).select(F.pmod(F.xxhash64("id"), F.lit(97)).alias("v"), F.col("id").alias("i"))
-    ranked = rangesort.with_global_rank(rangesort.range_sort(df, ["v", "i"], 6), ["v", "i"])
+    ranked = rangesort.with_global_rank(rangesort.range_sort(df, ["v", "i"], 6))
     assert [r["i"] for r in ranked.orderBy("rk").collect()] == [r["i"] for r in df.orderBy("v", "i").collect()]
     assert [r["rk"] for r in ranked.orderBy("rk").collect()] == list(range(1, 501))
 
@@ -59,9 +59,20 @@ def test_more_ranges_than_rows_and_equal_keys(spark):
 
 
 def test_breaks_of_order_are_found(spark):
-    bad = spark.createDataFrame([(0, 5), (0, 4), (1, 1)], "part_id int, v int").coalesce(1)
-    r = rangesort.validate_sorted(bad, ["v"]).first()
-    assert (r["within"], r["between"]) == (1, 1)
+    bad = spark.createDataFrame([(0, 0, 5), (0, 1, 4), (0, 2, 9), (1, 0, 1)], "part_id int, pos long, v int")
+    for chunk in (1, 2, 100):
+        r = rangesort.validate_sorted(bad, ["v"], chunk).first()
+        assert (r["n"], r["within"], r["between"]) == (4, 1, 1)
+
+
+def test_ranks_need_no_second_shuffle(spark):
+    ranked = rangesort.with_global_rank(rangesort.range_sort(spark.range(100).select(F.col("id").alias("v")), ["v"], 4))
+    plan = ranked._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "SortMergeJoin" not in plan and "Window [row_number" not in plan
+
+
+def test_shuffle_media(spark):
+    assert rangesort.shuffle_seconds(2500, 1e12, 500, 3500, 35e6) > 5 * rangesort.shuffle_seconds(2500, 1e12, 500, 700_000, 35e6)
 
 
 def test_splitters(spark):
