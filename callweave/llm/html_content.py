@@ -27,14 +27,14 @@ CLOSES_P = frozenset("address article aside blockquote details div dl fieldset f
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 HOLDERS = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table", "tbody", "thead", "tfoot"}, "td": {"tr", "table"}, "th": {"tr", "table"}}
 TAGS = "html body article main section div p h1 h2 h3 h4 h5 h6 ul ol li dl blockquote pre table tbody tr td figure figcaption header footer nav aside form fieldset button head dialog menu details".split()
-AGAINST = re.compile(r"(?:^|[^a-z])(?:ads?|adv|advert\w*|banner\w*|promo\w*|sponsor\w*|nav\w*|menu\w*|bread\w*|head(?:er)?|top-?bar|foot(?:er)?|side-?bar\w*|aside|widget\w*|cookie\w*|consent\w*|notice\w*|alert\w*|popup\w*|modal\w*|gdpr|comment\w*|repl(?:y|ies)|disqus|discussion|respon\w*|shar(?:e|ing)\w*|social\w*|relat\w*|recommend\w*|newsletter\w*|subscri\w*|sign-?up|login|search\w*|form\w*|pag(?:er|ination)|copyright|legal|tags?|toc)(?![a-z])")
-FOR = re.compile(r"(?:^|[^a-z])(?:article\w*|content\w*|post\w*|entry\w*|story\w*|main\w*|body|text|prose|blog)(?![a-z])")
+AGAINST = re.compile(r"(?:^|[^a-z])(?:ads?|adv|advert\w*|banner\w*|promo\w*|sponsor\w*|nav\w*|menu\w*|bread\w*|head(?:er)?|top-?bar|foot(?:er)?|contentinfo|complementary|side-?bar\w*|aside|widget\w*|cookie\w*|consent\w*|notice\w*|alert\w*|popup\w*|modal\w*|gdpr|comment\w*|repl(?:y|ies)|disqus|discussion|respon\w*|shar(?:e|ing)\w*|social\w*|relat\w*|recommend\w*|newsletter\w*|subscri\w*|sign-?up|login|search\w*|form\w*|pag(?:er|ination)|copyright|legal|tags?|toc)(?![a-z])")
+FOR = re.compile(r"(?:^|[^a-z])(?:article\w*|content(?!info)\w*|post\w*|entry\w*|story\w*|main\w*|body|text|prose|blog)(?![a-z])")
 
 TOKEN = re.compile(r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[(.*?)\]\]>|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>", re.S)
 ATTR = re.compile(r"\b(class|id|role|hidden|data-y)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 KINDS = 4
 LENGTHS, LINKS = (0, 20, 60, 160, 500, 2000), (0.01, 0.2, 0.5, 0.8)
-N_FEATURES = 1 + len(TAGS) + 1 + 4 + (len(LENGTHS) + 1) + (len(LINKS) + 1) + 5
+N_FEATURES = 1 + len(TAGS) + 1 + 4 + (len(LENGTHS) + 1) + (len(LINKS) + 1) + 7
 
 
 class Page:
@@ -162,6 +162,7 @@ class Page:
             base += len(LINKS) + 1
             feats.append(base + (0 if not own[b] else 1 if inside[b] else 2))
             feats.append(base + 3 + inside[b])
+            feats.append(base + 5 + int(share > 0.6 and tag in ("div", "section", "ul", "ol")))
             rows.append(feats)
             kind.append(1 if bad else 2 if tag in ("article", "main") or hint >= 2 else 3 if tag in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre", "td") else 0)
         self.features, self.kind = rows, kind
@@ -220,7 +221,7 @@ def marginals(data, node_weights: np.ndarray, edge: np.ndarray):
     return 1 / (1 + np.exp(np.clip(belief[:, 0] - belief[:, 1], -60, 60))), pair
 
 
-def labelled_pages(n: int = 240, seed: int = 11) -> list[str]:
+def labelled_pages(n: int = 360, seed: int = 11) -> list[str]:
     """Pages of many layouts; blocks of the article carry data-y, which features never see."""
     rng = random.Random(seed)
     word = lambda: "".join(rng.choice("bcdfghlmnprstvw") + rng.choice("aeiou") for _ in range(rng.randint(1, 4)))
@@ -239,7 +240,8 @@ def labelled_pages(n: int = 240, seed: int = 11) -> list[str]:
             lambda: f'<div class="{rng.choice(["cookie-notice", "notice", "alert", "consent", "popup", "newsletter"])}"><p>{words(6, 50)}</p><button>{word()}</button></div>',
             lambda: f"<form><label>{words(1, 4)}</label><input name=q><button>{word()}</button><p>{words(2, 12)}</p></form>",
             lambda: f'<header{rng.choice(["", " class=site-header"])}><h1>{words(1, 5)}</h1><p>{words(3, 15)}</p></header>',
-            lambda: f"<div>{' '.join(link() for _ in range(rng.randint(3, 8)))}</div>",
+            lambda: f"<div>{' '.join(link() for _ in range(rng.randint(2, 8)))}</div>",
+            lambda: f'<div role="{rng.choice(["complementary", "navigation", "contentinfo", "banner", "search"])}"><p>{words(4, 60)}</p></div>',
         ])()
 
     def comments():
@@ -262,7 +264,7 @@ def labelled_pages(n: int = 240, seed: int = 11) -> list[str]:
     out = []
     for _ in range(n):
         body = [block() for _ in range(rng.randint(1, 9))]
-        if rng.random() < 0.35:
+        for _ in range(rng.choice((0, 0, 1, 1, 2))):
             body.insert(rng.randint(0, len(body)), noise())
         if rng.random() < 0.2:
             body.append(comments())
