@@ -13,6 +13,7 @@ from __future__ import annotations
 import html as html_lib
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +31,7 @@ TAGS = "html body article main section div p h1 h2 h3 h4 h5 h6 ul ol li dl block
 AGAINST = re.compile(r"(?:^|[^a-z])(?:ads?|adv|advert\w*|banner\w*|promo\w*|sponsor\w*|nav\w*|menu\w*|bread\w*|head(?:er)?|top-?bar|foot(?:er)?|contentinfo|complementary|side-?bar\w*|aside|widget\w*|cookie\w*|consent\w*|notice\w*|alert\w*|popup\w*|modal\w*|gdpr|comment\w*|repl(?:y|ies)|disqus|discussion|respon\w*|shar(?:e|ing)\w*|social\w*|relat\w*|recommend\w*|newsletter\w*|subscri\w*|sign-?up|login|search\w*|form\w*|pag(?:er|ination)|copyright|legal|tags?|toc)(?![a-z])")
 FOR = re.compile(r"(?:^|[^a-z])(?:article\w*|content(?!info)\w*|post\w*|entry\w*|story\w*|main\w*|body|text|prose|blog)(?![a-z])")
 
-TOKEN = re.compile(r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[(.*?)\]\]>|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>", re.S)
+TOKEN = re.compile(r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[(.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/<>]*)((?:[^<>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>", re.S)
 ATTR = re.compile(r"\b(class|id|role|hidden|data-y)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 KINDS = 4
 LENGTHS, LINKS = (0, 20, 60, 160, 500, 2000), (0.01, 0.2, 0.5, 0.8)
@@ -68,11 +69,22 @@ class Page:
 
     def _read(self, s):
         stack = [("html", 0)]  # open elements: name, block (inline ones keep their block's)
-        links, at = 0, 0
+        held = Counter()  # how often each name is open; every search below costs at most what was pushed
+        unclosed = set()  # raw elements without an end tag from here on
+        at = 0
 
         def text(raw):
             if raw:
-                self.runs.append((stack[-1][1], html_lib.unescape(raw) if "&" in raw else raw, 1 if links > 0 else 0))
+                self.runs.append((stack[-1][1], html_lib.unescape(raw) if "&" in raw else raw, 1 if held["a"] else 0))
+
+        def push(name, block):
+            stack.append((name, block))
+            held[name] += 1
+
+        def close(depth):
+            for name, _ in stack[depth:]:
+                held[name] -= 1
+            del stack[depth:]
 
         for m in TOKEN.finditer(s):
             if m.start() < at:
@@ -85,49 +97,46 @@ class Page:
                 continue
             name = name.lower()
             if m[2]:
-                if name in HOLDERS or any(n == name for n, _ in stack[1:]):
-                    depth = next((d for d in range(len(stack) - 1, 0, -1) if stack[d][0] == name), 0)
-                    if depth and not (name in INLINE and any(n not in INLINE for n, _ in stack[depth + 1 :])):
-                        links -= sum(n == "a" for n, _ in stack[depth:])
-                        del stack[depth:]
+                if held[name]:
+                    depth = next(d for d in range(len(stack) - 1, 0, -1) if stack[d][0] == name)
+                    if name not in INLINE or all(n in INLINE for n, _ in stack[depth + 1 :]):
+                        close(depth)
                 if name not in INLINE:
                     self.runs.append((stack[-1][1], "\n", 0))
                 continue
             if name in RAW:
-                close = re.compile(rf"</{name}(?=[\s/>])[^>]*>", re.I).search(s, at) if not (m[4] or "").endswith("/") else None
-                if close:
-                    at = close.end()
-                elif name in ("script", "style", "title", "textarea", "iframe", "noscript") and not (m[4] or "").endswith("/"):
-                    at = len(s)
+                if not (m[4] or "").endswith("/"):
+                    end = None if name in unclosed else re.compile(rf"</{name}(?=[\s/>])[^>]*>", re.I).search(s, at)
+                    if end:
+                        at = end.end()
+                    elif name in ("script", "style", "title", "textarea", "iframe", "noscript"):
+                        at = len(s)
+                    else:
+                        unclosed.add(name)
                 self.runs.append((stack[-1][1], " ", 0))
                 continue
             if name in VOID:
-                if name not in ("wbr",):
+                if name != "wbr":
                     self.runs.append((stack[-1][1], " ", 0))
                 continue
             if name in INLINE:
-                if name == "a":
-                    links += 1
-                stack.append((name, stack[-1][1]))
+                push(name, stack[-1][1])
                 continue
-            if name in ("html", "body", "head") and any(n == name for n, _ in stack[1:]):
+            if name in ("html", "body", "head") and held[name]:
                 continue
-            drop = {"p"} if name in CLOSES_P else set()
-            drop |= SIBLINGS.get(name, set())
-            stops = HOLDERS.get(name, set())
-            if name == "body":
-                drop |= {"head"}
-            for d in range(len(stack) - 1, 0, -1):
-                n = stack[d][0]
-                if n in drop:
-                    links -= sum(x == "a" for x, _ in stack[d:])
-                    del stack[d:]
-                    if name not in SIBLINGS:
+            drop = ({"p"} if name in CLOSES_P else set()) | SIBLINGS.get(name, set()) | ({"head"} if name == "body" else set())
+            if any(held[n] for n in drop):
+                stops = HOLDERS.get(name, set())
+                for d in range(len(stack) - 1, 0, -1):
+                    n = stack[d][0]
+                    if n in drop:
+                        close(d)
+                        if name not in SIBLINGS:
+                            break
+                    elif n in stops or n not in INLINE and name not in SIBLINGS:
                         break
-                elif n in stops or n not in INLINE and n not in drop and not SIBLINGS.get(name):
-                    break
             self.runs.append((stack[-1][1], "\n", 0))
-            stack.append((name, self._open(name, m[4], stack[-1][1])))
+            push(name, self._open(name, m[4], stack[-1][1]))
         if at < len(s):
             text(s[at:])
 

@@ -236,3 +236,12 @@ def test_bits_follow_size():
     assert small[0] < large[0] and small[1] < large[1]
     for bits, bands in (small, large):
         assert 1 - (1 - (1 - np.arccos(0.93) / np.pi) ** bits) ** bands >= p.recall
+
+
+@pytest.mark.parametrize("part", ["<div>", "<div>x</i>", "<div ", '<a "', "<![CDATA[>", "<svg>", "<b><p>x", "<li>", "<!--", "</b>", "<a>y</a>", "&#x110000;&bogus;"])
+def test_hostile_markup_takes_linear_time(model, part):
+    import time
+
+    began = time.perf_counter()
+    text_of(model, part * 20_000)
+    assert time.perf_counter() - began < 20
