@@ -37,10 +37,10 @@ def scan_json(t, spark):
     return spark.read.schema("n_nationkey int, n_name string, n_regionkey int").json(path)
 
 
-@query("SELECT p_partkey, p_name, p_size FROM part WHERE p_partkey <= 100")
+@query("SELECT p_partkey, p_name, p_size FROM part")
 def scan_csv(t, spark):
     path = shared_path(spark)
-    t("part").where("p_partkey <= 100").select("p_partkey", "p_name", "p_size").write.option("header", True).csv(path)
+    t("part").select("p_partkey", "p_name", "p_size").write.option("header", True).csv(path)
     return spark.read.schema("p_partkey long, p_name string, p_size int").option("header", True).csv(path)
 
 
@@ -385,13 +385,13 @@ def fn_json(t, spark):
 # User-defined functions
 
 
-@query("SELECT l_orderkey, l_linenumber, l_partkey, round(l_extendedprice * (1 + l_tax), 4) AS gross FROM lineitem WHERE l_orderkey <= 400")
+@query("SELECT l_orderkey, l_linenumber, l_partkey, round(l_extendedprice * (1 + l_tax), 4) AS gross FROM lineitem")
 def udf_scalar(t, spark):
     @F.udf("double")
     def gross(price, tax):
         return price * (1 + tax)
 
-    return t("lineitem").where("l_orderkey <= 400").select("l_orderkey", "l_linenumber", "l_partkey", F.round(gross("l_extendedprice", "l_tax"), 4).alias("gross"))
+    return t("lineitem").select("l_orderkey", "l_linenumber", "l_partkey", F.round(gross("l_extendedprice", "l_tax"), 4).alias("gross"))
 
 
 @query("SELECT event_id, round(value * 1.5 + 2, 4) AS v FROM events")
@@ -434,14 +434,14 @@ def udtf_tokens(t, spark):
     return spark.sql("SELECT item_id, pos, token FROM callweave_benchmark, LATERAL callweave_tokens(text)")
 
 
-@query("""WITH o AS (SELECT o_custkey AS k, count(*) AS orders FROM orders WHERE o_custkey <= 300 GROUP BY 1), c AS (SELECT c_custkey AS k, c_acctbal FROM customer WHERE c_custkey <= 300)
+@query("""WITH o AS (SELECT o_custkey AS k, count(*) AS orders FROM orders GROUP BY 1), c AS (SELECT c_custkey AS k, c_acctbal FROM customer)
           SELECT coalesce(o.k, c.k) AS custkey, CAST(coalesce(orders, 0) AS BIGINT) AS orders, c_acctbal AS balance FROM o FULL JOIN c ON o.k = c.k""")
 def cogroup_merge(t, spark):
     def merge(key, orders: pd.DataFrame, customers: pd.DataFrame) -> pd.DataFrame:
         balance = customers["c_acctbal"].iloc[0] if len(customers) else None
         return pd.DataFrame({"custkey": [key[0]], "orders": [len(orders)], "balance": [balance]})
 
-    o, c = t("orders").where("o_custkey <= 300").select("o_custkey"), t("customer").where("c_custkey <= 300").select("c_custkey", "c_acctbal")
+    o, c = t("orders").select("o_custkey"), t("customer").select("c_custkey", "c_acctbal")
     return o.groupBy("o_custkey").cogroup(c.groupBy("c_custkey")).applyInPandas(merge, "custkey long, orders long, balance double")
 
 

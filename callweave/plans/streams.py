@@ -65,17 +65,17 @@ def stream_stateful(t, spark):
     return st.settle_stream(counts, "update", ["user_id"])
 
 
-@query("""SELECT epoch_us(date_trunc('day', ts)) AS start_us, count(*) AS n FROM events WHERE date_trunc('day', ts) IN (TIMESTAMP '2024-01-03', TIMESTAMP '2024-01-05') GROUP BY 1""")
+@query("""SELECT epoch_us(date_trunc('day', ts)) AS start_us, count(*) AS n FROM events WHERE date_trunc('day', ts) <> TIMESTAMP '2024-01-04' GROUP BY 1""")
 def stream_late_drop(t, spark):
-    """Days arrive as 3, 5, 4 with sentinel rows between; day 4 is beyond the watermark by then and is dropped."""
+    """The fourth of January arrives after everything else and a closing row, beyond the watermark's reach: it is dropped."""
     e, path = _events(t).select("event_id", "ts"), shared_path(spark)
-    day = lambda d: e.where((F.col("ts") >= F.lit(f"2024-01-0{d}").cast("timestamp")) & (F.col("ts") < F.lit(f"2024-01-0{d + 1}").cast("timestamp")))
-    end = spark.createDataFrame([(-1,)], "event_id long").withColumn("ts", F.lit("2024-01-09").cast("timestamp"))
-    for part in (day(3), day(5), end, day(4)):
+    late = (F.col("ts") >= F.lit("2024-01-04").cast("timestamp")) & (F.col("ts") < F.lit("2024-01-05").cast("timestamp"))
+    closing = spark.createDataFrame([(-1,)], "event_id long").withColumn("ts", F.lit("2030-01-01").cast("timestamp"))
+    for part in (e.where(~late), closing, e.where(late)):
         part.coalesce(1).write.mode("append").parquet(path)
     w = st.read_stream(spark, e.schema, path).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n"))
     out = st.settle_stream(w.select(F.unix_micros("w.start").alias("start_us"), "n"), "update", ["start_us"])
-    return out.where(F.col("start_us") < F.unix_micros(F.lit("2024-01-09").cast("timestamp")))
+    return out.where(F.col("start_us") < F.unix_micros(F.lit("2030-01-01").cast("timestamp")))
 
 
 @query("SELECT o_orderstatus, count(*) AS n, CAST(sum(o_orderkey) AS BIGINT) AS keys FROM orders GROUP BY 1")
