@@ -59,11 +59,11 @@ def call_retry_ledger(t, spark):
     return first_outcomes(out).select("call_id", "attempt", "status", "result")
 
 
-@query("SELECT o_orderkey AS call_id, o_orderkey % 7 AS result, o_orderkey % 5 <> 0 AS first_run FROM orders")
+@query("SELECT o_orderkey AS call_id, o_orderkey % 7 AS result, o_totalprice < 200000 AS first_run FROM orders")
 def call_resume_antijoin(t, spark):
     ledger = Ledger(spark, shared_path(spark), "resume", "long")
     calls = t("orders").select(F.col("o_orderkey").alias("call_id"), F.col("o_orderkey").alias("payload"))
-    early = calls.where("call_id % 5 <> 0")
+    early = t("orders").where("o_totalprice < 200000").select(F.col("o_orderkey").alias("call_id"), F.col("o_orderkey").alias("payload"))
     resume(early, lambda k: k % 7, ledger, "long", slots=8)
     before = ledger.snapshot().select("call_id", F.lit(True).alias("first_run"))
     before = settle(before)
@@ -79,11 +79,12 @@ def ledger_dedupe(t, spark):
     return first_outcomes(outcomes).join(counts, "call_id").select("call_id", "outcomes", F.col("attempt").alias("kept"), "status")
 
 
-@query("SELECT o_orderkey AS call_id FROM orders WHERE o_orderkey % 4 = 1 OR o_orderkey % 8 = 2")
+@query("SELECT o_orderkey AS call_id FROM orders WHERE o_orderstatus <> 'F' OR o_totalprice > 400000")
 def ledger_missing(t, spark):
-    calls = t("orders").select(F.col("o_orderkey").alias("call_id"))
-    done = calls.where("call_id % 4 <> 1").withColumn("status", F.when(F.col("call_id") % 8 == 2, "failed").otherwise("ok"))
-    return missing_calls(calls, done)
+    """Orders stand for calls: finished ones were run, and those above a price failed."""
+    status = F.when(F.col("o_totalprice") > 400_000, "failed").otherwise("ok")
+    done = t("orders").where("o_orderstatus = 'F'").select(F.col("o_orderkey").alias("call_id"), status.alias("status"))
+    return missing_calls(t("orders").select(F.col("o_orderkey").alias("call_id")), done)
 
 
 @query("""SELECT event_id AS call_id, CASE WHEN value > 300 THEN 'timed_out' WHEN user_id * 12 > 1536 THEN 'over_memory' WHEN length(props) * 50 > 512 THEN 'over_scratch' ELSE 'ok' END AS verdict FROM events""")

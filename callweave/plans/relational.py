@@ -115,9 +115,9 @@ def join_shj(t, spark):
     return _by_priority(t, "shuffle_hash")
 
 
-@query("SELECT d.doc_id IS NOT NULL AS has_doc, l.doc_id IS NOT NULL AS has_label, count(*) AS n FROM (SELECT doc_id FROM documents WHERE doc_id % 3 <> 0) d FULL JOIN labels l ON d.doc_id = l.doc_id GROUP BY ALL")
+@query("SELECT d.doc_id IS NOT NULL AS has_doc, l.doc_id IS NOT NULL AS has_label, count(*) AS n FROM (SELECT doc_id FROM documents WHERE lang <> 'en') d FULL JOIN labels l ON d.doc_id = l.doc_id GROUP BY ALL")
 def join_outer(t, spark):
-    d, lab = t("documents").where("doc_id % 3 <> 0").select("doc_id").alias("d"), t("labels").select("doc_id").alias("l")
+    d, lab = t("documents").where("lang <> 'en'").select("doc_id").alias("d"), t("labels").select("doc_id").alias("l")
     j = d.join(lab, F.col("d.doc_id") == F.col("l.doc_id"), "full")
     return j.groupBy(F.col("d.doc_id").isNotNull().alias("has_doc"), F.col("l.doc_id").isNotNull().alias("has_label")).agg(F.count(F.lit(1)).alias("n"))
 
@@ -328,9 +328,9 @@ def set_intersect_all(t, spark):
     return a.intersectAll(b)
 
 
-@query("SELECT n_nationkey AS k FROM nation EXCEPT SELECT s_nationkey FROM supplier WHERE s_suppkey % 5 = 0")
+@query("SELECT n_nationkey AS k FROM nation EXCEPT SELECT s_nationkey FROM supplier WHERE s_acctbal < 0")
 def set_except(t, spark):
-    return t("nation").select(F.col("n_nationkey").alias("k")).subtract(t("supplier").where("s_suppkey % 5 = 0").select("s_nationkey"))
+    return t("nation").select(F.col("n_nationkey").alias("k")).subtract(t("supplier").where("s_acctbal < 0").select("s_nationkey"))
 
 
 @query(f"{C} EXCEPT ALL {S}")
