@@ -8,22 +8,28 @@ from pyspark.sql import functions as F
 from callweave.operators.mapreduce import words
 
 
+def let(value: Column, use) -> Column:
+    """`use(value)` with `value` computed once, however often `use` mentions it."""
+    return F.transform(F.array(value), use)[0]
+
+
 def crop(px: Column, width: int, top: int, left: int, height: int, out_width: int) -> Column:
     """Row-major crop of a row-major image."""
-    return F.flatten(F.transform(F.sequence(F.lit(top), F.lit(top + height - 1)), lambda r: F.slice(px, r * width + left + 1, F.lit(out_width))))
+    rows = F.sequence(F.lit(top), F.lit(top + height - 1))
+    return let(px, lambda p: F.flatten(F.transform(rows, lambda r: F.slice(p, r * width + left + 1, F.lit(out_width)))))
 
 
 def scale(px: Column, width: int, height: int, factor: int) -> Column:
     """Mean of each factor x factor block, row-major."""
     w, cells = width // factor, (width // factor) * (height // factor)
 
-    def block(c):
+    def block(px, c):
         row, col = F.floor(c / w) * factor, F.pmod(c, F.lit(w)) * factor
         rows = F.sequence(F.lit(0), F.lit(factor - 1))
         total = F.aggregate(rows, F.lit(0.0), lambda s, r: F.aggregate(F.slice(px, ((row + r) * width + col + 1).cast("int"), F.lit(factor)), s, lambda a, v: a + v))
         return total / (factor * factor)
 
-    return F.transform(F.sequence(F.lit(0), F.lit(cells - 1)), block)
+    return let(px, lambda p: F.transform(F.sequence(F.lit(0), F.lit(cells - 1)), lambda c: block(p, c)))
 
 
 def gradient_descriptor(px: Column, width: int, height: int, grid: int = 2) -> Column:
@@ -34,20 +40,19 @@ def gradient_descriptor(px: Column, width: int, height: int, grid: int = 2) -> C
     """
     w, h = width - 1, height - 1
     cell_w, cell_h = -(-w // grid), -(-h // grid)
-    at = lambda r, c: F.element_at(px, (r * width + c + 1).cast("int"))
 
-    def pixel(i):
+    def pixel(px, i):
+        at = lambda r, c: F.element_at(px, (r * width + c + 1).cast("int"))
         r, c = F.floor(i / w), F.pmod(i, F.lit(w))
         dx, dy = at(r, c + 1) - at(r, c), at(r + 1, c) - at(r, c)
         orientation = F.when(dx >= 0, 0).otherwise(1) + F.when(dy >= 0, 0).otherwise(2)
         slot = (F.floor(r / cell_h) * grid + F.floor(c / cell_w)) * 4 + orientation
         return F.struct(slot.cast("int").alias("slot"), (F.abs(dx) + F.abs(dy)).alias("energy"))
 
-    pixels = F.transform(F.sequence(F.lit(0), F.lit(w * h - 1)), pixel)
-    return F.transform(
-        F.sequence(F.lit(0), F.lit(grid * grid * 4 - 1)),
-        lambda s: F.aggregate(F.filter(pixels, lambda p: p["slot"] == s), F.lit(0.0), lambda a, p: a + p["energy"]),
-    )
+    pixels = let(px, lambda q: F.transform(F.sequence(F.lit(0), F.lit(w * h - 1)), lambda i: pixel(q, i)))
+    slots = F.sequence(F.lit(0), F.lit(grid * grid * 4 - 1))
+    total = lambda ps, s: F.aggregate(F.filter(ps, lambda p: p["slot"] == s), F.lit(0.0), lambda a, p: a + p["energy"])
+    return let(pixels, lambda ps: F.transform(slots, lambda s: total(ps, s)))
 
 
 def gradient_descriptor_numpy(df: DataFrame, id_col: str, px_col: str, width: int, height: int, grid: int = 2) -> DataFrame:

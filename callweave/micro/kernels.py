@@ -32,21 +32,31 @@ def bench_matmul(spark: SparkSession, workers: int, size: int = 256, repeats: in
 
 
 def bench_object_write(spark: SparkSession, workers: int, mb: int = 8, path: str | None = None) -> tuple[str, float, float]:
-    """(path, seconds, MB/s in total) of `workers` tasks writing incompressible objects through the storage layer."""
+    """(path, seconds, MB/s in total) of `workers` tasks writing incompressible blocks of one MB through the storage layer."""
     path = path or shared_path(spark)
-    blocks = spark.range(workers * mb * 16, numPartitions=workers).select(F.flatten(F.transform(F.sequence(F.lit(0), F.lit(1023)), lambda i: F.array(F.xxhash64(F.col("id"), i)))).alias("block"))
+
+    def fill(batches):
+        import os
+
+        import pyarrow as pa
+
+        for b in batches:
+            for _ in range(b.num_rows):
+                yield pa.RecordBatch.from_arrays([pa.array([os.urandom(1_000_000)], pa.binary())], ["block"])
+
+    blocks = spark.range(workers * mb, numPartitions=workers).mapInArrow(fill, "block binary")
     began = time.perf_counter()
     blocks.write.option("compression", "none").parquet(path)
     seconds = time.perf_counter() - began
-    return path, seconds, workers * mb * 16 * 8192 / 1e6 / seconds
+    return path, seconds, workers * mb / seconds
 
 
 def bench_object_read(spark: SparkSession, path: str) -> tuple[float, float]:
     """(seconds, MB/s) of reading the written objects."""
     began = time.perf_counter()
-    rows = spark.read.parquet(path).agg(F.sum(F.size("block"))).first()[0]
+    size = spark.read.parquet(path).agg(F.sum(F.octet_length("block"))).first()[0]
     seconds = time.perf_counter() - began
-    return seconds, rows * 8 / 1e6 / seconds
+    return seconds, size / 1e6 / seconds
 
 
 def bench_local_vs_remote(spark: SparkSession, local: str, remote: str, workers: int = 4, mb: int = 8) -> dict[str, float]:

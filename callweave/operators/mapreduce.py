@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from callweave.tables import shared_path
+from callweave.tables import shared_path, spread
 
 #: Reducers with an equal aggregate: they combine before the shuffle and stay in the JVM.
 NATIVE_REDUCERS = {"sum": F.sum, "min": F.min, "max": F.max, "count": F.count}
@@ -82,7 +82,7 @@ def word_count(
 ) -> DataFrame:
     """(*by, word, n). The plan is scan, explode, partial count, one shuffle by word, final count."""
     keys = [*(by or []), "word"]
-    tokens = df.select(*(by or []), F.explode(words(F.col(col), pattern)).alias("word"))
+    tokens = spread(df.select(*(by or []), col)).select(*(by or []), F.explode(words(F.col(col), pattern)).alias("word"))
     if shuffle == "objects":
         tokens = through_objects(tokens, F.col("word"), parts or 8)
     elif not combine:
@@ -99,7 +99,7 @@ def word_count_opaque(df: DataFrame, col: str = "text", parts: int | None = None
             count = Counter(w for t in frame[col].dropna() for w in t.lower().split())
             yield pd.DataFrame({"word": list(count.keys()), "n": list(count.values())})
 
-    part = df.select(col).mapInPandas(tokens, "word string, n long")
+    part = spread(df.select(col)).mapInPandas(tokens, "word string, n long")
     if parts:
         part = part.repartition(parts, "word")
     return part.groupBy("word").agg(F.sum("n").alias("n"))

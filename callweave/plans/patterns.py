@@ -10,7 +10,7 @@ from callweave.functions import features as feat
 from callweave.learn import linear
 from callweave.operators import bsp, gather, mapreduce, paramserver, rangesort, sweep
 from callweave.plans.registry import query
-from callweave.tables import settle
+from callweave.tables import settle, spread
 
 LAMBDAS = (0.0, 1.0, 10.0, 100.0, 1000.0)
 RIDGE_SQL = """WITH s AS (SELECT l_returnflag, count(*) AS n, sum(x * x) AS xx, sum(x * y) AS xy, sum(y * y) AS yy FROM (SELECT l_returnflag, l_quantity / 50 AS x, l_extendedprice / 100000 AS y FROM lineitem) GROUP BY 1),
@@ -88,7 +88,7 @@ PIXELS = "(SELECT vec_id, i - 1 AS i, CAST(embedding[i] AS DOUBLE) AS v FROM emb
 def featurize_crop_scale(t, spark):
     px = F.transform("embedding", lambda v: v.cast("double"))
     small = feat.scale(feat.crop(px, 8, 1, 1, 6, 6), 6, 6, 2)
-    return t("embeddings").select("vec_id", F.posexplode(small).alias("cell", "v")).withColumn("v", F.round("v", 6))
+    return spread(t("embeddings").select("vec_id", "embedding"), "vec_id").select("vec_id", F.posexplode(small).alias("cell", "v")).withColumn("v", F.round("v", 6))
 
 
 @query(f"""WITH p AS (SELECT vec_id, i // 8 - 1 AS r, i % 8 - 1 AS c, v FROM {PIXELS} WHERE i // 8 BETWEEN 1 AND 6 AND i % 8 BETWEEN 1 AND 6),
@@ -98,7 +98,7 @@ def featurize_crop_scale(t, spark):
 def featurize_descriptor(t, spark):
     px = F.transform("embedding", lambda v: v.cast("double"))
     desc = feat.gradient_descriptor(feat.crop(px, 8, 1, 1, 6, 6), 6, 6)
-    return t("embeddings").select("vec_id", F.posexplode(desc).alias("slot", "energy")).withColumn("energy", F.round("energy", 5))
+    return spread(t("embeddings").select("vec_id", "embedding"), "vec_id").select("vec_id", F.posexplode(desc).alias("slot", "energy")).withColumn("energy", F.round("energy", 5))
 
 
 @query("""WITH w AS (SELECT *, list_filter(string_split_regex(lower(text), '\\s+'), lambda x: x <> '') AS ws FROM documents)
@@ -106,7 +106,7 @@ def featurize_descriptor(t, spark):
             CAST(length(regexp_replace(text, '[^0-9]', '', 'g')) AS INTEGER) AS n_digits, CAST(len(string_split(text, chr(10))) AS INTEGER) AS n_lines, CAST(length(regexp_replace(text, '[^A-Z]', '', 'g')) AS INTEGER) AS n_capitals,
             array_to_string(list_transform(string_split('0,1,2,3,4,5,6,7,8,9,a,b,c,d,e,f', ','), lambda h: len(list_filter(ws, lambda x: substr(md5(x), 1, 1) = h))), ',') AS hashed FROM w""")
 def featurize_text(t, spark):
-    return feat.text_features(t("documents").select("doc_id", "text")).drop("text").withColumn("hashed", F.array_join(F.transform("hashed", lambda n: n.cast("string")), ","))
+    return feat.text_features(spread(t("documents").select("doc_id", "text"), "doc_id")).drop("text").withColumn("hashed", F.array_join(F.transform("hashed", lambda n: n.cast("string")), ","))
 
 
 @query("""SELECT page_id, regexp_extract(url, '^https?://([^/?#]+)', 1) AS host, length(html) AS n_html, CAST(len(regexp_extract_all(html, '(?i)<a[ >]')) AS BIGINT) AS n_links, CAST(len(regexp_extract_all(html, '(?i)<p[ >]')) AS BIGINT) AS n_paragraphs,

@@ -27,6 +27,20 @@ def settle(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def spread(df: DataFrame, *keys: str) -> DataFrame:
+    """Deal out the rows of a table whose row groups are fewer than the session's slots; others pass as they are.
+
+    A scan can't be cut below a row group (128 MB by default), so a table of one
+    small file would keep one slot busy. Larger tables are never shuffled here.
+    """
+    slots = df.sparkSession.sparkContext.defaultParallelism
+    groups = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) >> 27
+    if groups >= slots:
+        return df
+    files = len(df.inputFiles())
+    return df.repartition(slots, *keys) if 0 < files < slots else df
+
+
 def as_trace(events: DataFrame) -> DataFrame:
     """Task trace: (call_id, worker, phase, start_us, duration_ms, bytes) from the event table."""
     return events.select(
