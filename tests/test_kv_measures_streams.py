@@ -112,3 +112,14 @@ def test_plans_prune_and_choose_joins(spark, t):
     assert "SortMergeJoin" in text("join_smj") and "ShuffledHashJoin" in text("join_shj")
     assert "CartesianProduct" not in text("join_interval") and "BroadcastNestedLoop" not in text("join_theta")
     assert "CartesianProduct" not in text("matmul_sql")
+
+
+def test_spread_deals_out_single_files_only(spark, t):
+    from callweave.tables import settle, spread
+
+    one = spread(t("documents"), "doc_id")
+    assert "REPARTITION_BY_NUM" in one._jdf.queryExecution().executedPlan().toString() and one.count() == t("documents").count()
+    many = settle(spark.range(100).repartition(20))
+    assert spread(many) is many
+    literal = spark.createDataFrame([(1,)], "a int")
+    assert spread(literal) is literal
