@@ -12,7 +12,6 @@ from __future__ import annotations
 import base64
 import hashlib
 import struct
-from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -20,6 +19,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from callweave.tables import spread
+
 UNKNOWN_PIECE = "\u2047"  # outside the alphabet of byte characters, so no text can spell it
 
 
@@ -75,30 +76,49 @@ def serialise_model(ranks: dict[bytes, int]) -> bytes:
 
 
 class Codec:
-    """Encoder and decoder of one worker. Remembers pre-tokens, and forgets all of them beyond `memory` entries."""
+    """Encoder and decoder of one worker. Remembers the ids of pre-tokens, and forgets all of them beyond `memory` entries."""
 
-    def __init__(self, model: bytes, pieces: list[bytes], pattern: str, memory: int = 150_000):
+    def __init__(self, model: bytes, pieces: list[bytes], pattern: str, memory: int = 200_000):
         import sentencepiece
 
         self.sp = sentencepiece.SentencePieceProcessor()
         self.sp.LoadFromSerializedProto(model)
         self.pieces, self.split, self.memory = pieces, regex.compile(pattern).findall, memory
+        self.decimal = [str(i) for i in range(len(pieces))]
         self.alphabet = byte_alphabet()
         self.ranks = {p: i for i, p in enumerate(pieces)}
-        self.known: dict[str, tuple[bytes, str]] = {}
+        self.known: dict[str, bytes] = {}
 
     def _learn(self, tokens: set[str]) -> None:
-        whole, parts = {}, []
+        """Pre-tokens that are whole pieces get their rank; the others go to sentencepiece, many in a call.
+
+        The unknown piece stands between them: nothing merges with it, so each
+        is encoded on its own, and its id marks their ends.
+        """
+        parts, size = [], 0
         for t in tokens:
             rank = self.ranks.get(t.encode("utf-8"))
-            if rank is None:
-                parts.append(t)
-            else:
-                whole[t] = [rank]
-        mapped = [self._mapped(t) for t in parts]
-        whole.update(zip(parts, self.sp.encode(mapped, out_type=int, num_threads=1) if mapped else []))
-        for t, ids in whole.items():
-            self.known[t] = (array("i", ids).tobytes(), " ".join(map(str, ids)))
+            if rank is not None:
+                self.known[t] = struct.pack("<i", rank)
+                continue
+            parts.append(t)
+            size += len(t)
+            if size > 4000:
+                self._merge(parts)
+                parts, size = [], 0
+        if parts:
+            self._merge(parts)
+
+    def _merge(self, parts: list[str]) -> None:
+        line = UNKNOWN_PIECE.join([self._mapped(t) for t in parts]) + UNKNOWN_PIECE
+        ids = np.array(self.sp.encode(line, out_type=int), "<i4")
+        raw, start = ids.tobytes(), 0
+        ends = np.flatnonzero(ids == len(self.pieces)).tolist()
+        if len(ends) != len(parts):
+            raise ValueError("a pre-token holds what the byte alphabet lacks")
+        for t, end in zip(parts, ends):
+            self.known[t] = raw[4 * start : 4 * end]
+            start = end + 1
 
     def _mapped(self, token: str) -> str:
         if token.isascii() and token[1:].isalnum() and (token[0] == " " or token[0].isalnum()):
@@ -114,12 +134,11 @@ class Codec:
                 self.known.clear()
                 new = set(tokens)
             self._learn(new)
-        got = [self.known[t] for t in tokens]
-        return np.frombuffer(b"".join([g[0] for g in got]), "<i4"), " ".join([g[1] for g in got])
+        ids = np.frombuffer(b"".join(map(self.known.__getitem__, tokens)), "<i4")
+        return ids, " ".join(map(self.decimal.__getitem__, ids.tolist()))
 
     def decode(self, ids: np.ndarray) -> bytes:
-        pieces = self.pieces
-        return b"".join([pieces[i] for i in ids.tolist()])
+        return b"".join(map(self.pieces.__getitem__, ids.tolist()))
 
 
 def encode_texts(
@@ -159,7 +178,8 @@ def encode_texts(
                     cols.append(pa.array(kept, pa.list_(pa.int32())))
                 yield pa.RecordBatch.from_arrays(cols, [c.split()[0] for c in schema.split(", ")])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, schema)
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    return spread(rows, "doc_id").mapInArrow(run, schema)
 
 
 def decode_ids(encoded: DataFrame, vocabulary: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
