@@ -127,9 +127,12 @@ def mix(
         return keyed.withColumn("__range", F.substring("__key", 1, 3))
 
     placed = place(slim)
-    sizes = cut(placed.groupBy(*leaf, "__range", "__rest").agg(F.sum("__tokens").alias("size")))
-    run = F.sum("size").over(Window.partitionBy(*leaf).orderBy("__range"))  # 4096 rows a leaf at most
-    ends = sizes.withColumn("__upto", run).withColumn("__from", F.col("__upto") - F.col("size"))
+    sizes = cut(placed.groupBy(*leaf, "__range", "__rest").agg(F.sum("__tokens").alias("size"))).withColumn("__digit", F.substring("__range", 1, 1))
+    before = lambda *by: Window.partitionBy(*by).rowsBetween(Window.unboundedPreceding, -1)
+    digits = sizes.groupBy(*leaf, "__digit").agg(F.sum("size").alias("all"))  # 16 rows a leaf, then 256 a digit
+    digits = digits.select(*leaf, "__digit", F.coalesce(F.sum("all").over(before(*leaf).orderBy("__digit")), F.lit(0)).alias("lead"))
+    start = F.col("lead") + F.coalesce(F.sum("size").over(before(*leaf, "__digit").orderBy("__range")), F.lit(0))
+    ends = sizes.join(digits, [*leaf, "__digit"]).withColumn("__from", start).withColumn("__upto", F.col("__from") + F.col("size"))
     edge = cut(
         ends.where("__upto > __rest").groupBy(*leaf).agg(F.min(F.struct("__range", "__from")).alias("e"))
         .select(*leaf, F.col("e.__range").alias("__edge"), F.col("e.__from").alias("__before"))
