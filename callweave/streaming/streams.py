@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from contextlib import contextmanager
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -46,15 +47,13 @@ def settle_stream(stream: DataFrame, mode: str = "append", keys: list[str] | Non
     spark, path, log = stream.sparkSession, shared_path(stream.sparkSession), shared_path(stream.sparkSession)
     schema = stream.schema
     if mode == "append":
-        q = stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", log).outputMode("append").trigger(availableNow=True).start()
-        q.awaitTermination()
+        run_to_end(spark, stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", log).outputMode("append"))
         return spark.read.schema(schema).parquet(path)
 
     def store(batch, number):
         batch.withColumn("__batch", F.lit(number)).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
-    q = stream.writeStream.foreachBatch(store).option("checkpointLocation", log).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
+    run_to_end(spark, stream.writeStream.foreachBatch(store).option("checkpointLocation", log).outputMode(mode))
     rows = spark.read.schema(schema.add("__batch", "long")).parquet(f"{path}/*")
     if mode == "complete":
         last = rows.agg(F.max("__batch").alias("__last"))
@@ -63,6 +62,28 @@ def settle_stream(stream: DataFrame, mode: str = "append", keys: list[str] | Non
     return rows.groupBy(*keys).agg(F.max_by(F.struct(*others), "__batch").alias("s")).select(*keys, "s.*")
 
 
+@contextmanager
+def state_partitions(spark: SparkSession):
+    """Start streams with no more state partitions than slots: state is not coalesced as batch shuffles are.
+
+    A stream keeps the number that it starts with, in its log too, so a restart
+    on a larger cluster keeps it as well.
+    """
+    key, slots = "spark.sql.shuffle.partitions", max(8, spark.sparkContext.defaultParallelism)
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(min(int(before), slots)))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
+def run_to_end(spark: SparkSession, writer) -> None:
+    with state_partitions(spark):
+        q = writer.trigger(availableNow=True).start()
+    q.awaitTermination()
+
+
 def with_time(df: DataFrame, col: str = "ts") -> DataFrame:
     """Watermarks need timestamps with a zone."""
     return df.withColumn(col, F.col(col).cast("timestamp"))
@@ -100,7 +121,7 @@ def on_arrival(stream: DataFrame, fn: Callable[[DataFrame], DataFrame], path: st
     def store(batch, number):
         fn(batch).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
-    stream.writeStream.foreachBatch(store).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    run_to_end(stream.sparkSession, stream.writeStream.foreachBatch(store).option("checkpointLocation", checkpoint))
 
 
 def stream_training(stream: DataFrame, x: str, y: str, rate: float, start=(0.0, 0.0)) -> list[tuple[float, float]]:
@@ -114,5 +135,5 @@ def stream_training(stream: DataFrame, x: str, y: str, rate: float, start=(0.0,
             g = gradient_step(batch, x, y, versions[-1])
             versions.append((versions[-1][0] - rate * g[0], versions[-1][1] - rate * g[1]))
 
-    stream.writeStream.foreachBatch(update).option("checkpointLocation", shared_path(stream.sparkSession)).trigger(availableNow=True).start().awaitTermination()
+    run_to_end(stream.sparkSession, stream.writeStream.foreachBatch(update).option("checkpointLocation", shared_path(stream.sparkSession)))
     return versions
