@@ -123,3 +123,16 @@ def test_spread_deals_out_single_files_only(spark, t):
     assert spread(many) is many
     literal = spark.createDataFrame([(1,)], "a int")
     assert spread(literal) is literal
+
+
+def test_experiments_give_their_tables(spark):
+    from callweave.micro import experiments as x
+    from tests.conftest import DATA
+
+    assert {r["phase"] for r in x.featurize_and_fit(spark, DATA, 2, 1).collect()} == {"start latency", "set-up", "featurization", "fetch", "fit"}
+    assert x.word_count_routes(spark, DATA).where("seconds > 0").count() == 4
+    modes = {r["mode"]: r["distance"] for r in x.training_modes(spark, DATA, 60).collect()}
+    assert modes["stale by 2, rate too high"] > 10 * modes["synchronous"]
+    sorts = x.sort_sweep(spark, DATA, (4, 9), (1, 2)).collect()
+    assert {(r["parts"], r["rounds"]): r["blocks"] for r in sorts} == {(4, 1): 16, (9, 1): 81, (4, 2): 16, (9, 2): 54}
+    assert x.compute_scaling(spark, (1, 2), 64).count() == x.object_scaling(spark, (1, 2), 1).count() == x.kv_scaling(spark, (1,), (1, 2), 10).count() == 2
