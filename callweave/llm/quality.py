@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from callweave.llm.common import Masked
+from callweave.tables import spread
 
 WORD = r"[^\W_]+|[^\w\s]+|_+"
 
@@ -136,7 +137,7 @@ def train_quality(docs: DataFrame, labels: DataFrame, p: QualityParams = Quality
 
 def score_quality(docs: DataFrame, model: tuple[np.ndarray, float], p: QualityParams = QualityParams()) -> DataFrame:
     """doc_id, held_out, score and predicted of every row; null and empty texts get the score of the bias alone."""
-    scored = _scored(docs.select(F.col("doc_id"), F.col("text")), "text", model, p)
+    scored = _scored(spread(docs.select(F.col("doc_id"), F.col("text")), "doc_id"), "text", model, p)
     return scored.select(
         F.col("doc_id").cast("long").alias("doc_id"),
         F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"),

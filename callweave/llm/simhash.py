@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 
 from callweave.llm.common import Masked, cut, forget
 from callweave.llm.components import components
+from callweave.tables import spread
 
 
 def fingerprint(text: str | None, shingle: int = 3, seed: int = 42) -> int:
@@ -62,9 +63,8 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             signed = pa.array(np.array(fps, dtype=np.uint64).view(np.int64), pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0), signed], ["doc_id", "fp"])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, fp long"
-    )
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    return spread(rows, "doc_id").mapInArrow(run, "doc_id long, fp long")
 
 
 def _segments(fp):
