@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from callweave.llm.common import cut
+from callweave.llm.common import bounded_sample, cut
 from callweave.llm.vectors import matrix, rotation, sound_vectors
 
 
@@ -113,7 +113,7 @@ def search(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", ev
     """
     spark = df.sparkSession
     vecs = sound_vectors(df, id_col, vec_col)
-    sample = vecs.orderBy(F.xxhash64("vec_id"), "vec_id").limit(p.sample).toArrow()
+    sample = bounded_sample(vecs, "vec_id", p.sample).toArrow()
     n = vecs.count()
     out = "query_id long, rank int, vec_id long, score double"
     if n == 0:

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from callweave.llm.common import Masked
+from callweave.llm.common import Masked, bounded_sample
 from callweave.tables import spread
 
 WORD = r"[^\W_]+|[^\w\s]+|_+"
@@ -105,9 +105,8 @@ def train_quality(docs: DataFrame, labels: DataFrame, p: QualityParams = Quality
         .where(~held_out(F.col("doc_id")))
         .groupBy(F.col("doc_id").cast("long").alias("doc_id"))
         .agg(F.max("quality").cast("int").alias("quality"))
-        .orderBy(F.xxhash64("doc_id"), "doc_id")
-        .limit(p.sample)
     )
+    known = bounded_sample(known, "doc_id", p.sample)
     bits = p.bits
 
     def grams(batches):

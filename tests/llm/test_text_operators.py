@@ -213,6 +213,14 @@ def test_quality_on_held_out_rows(spark):
     assert ((held.predicted == 1) == (held.quality == 1)).mean() > 0.93 and held.score.between(0, 1).all()
 
 
+def test_sample_is_bounded_and_the_same_on_any_partitioning(spark):
+    from callweave.llm.common import bounded_sample
+
+    ids = spark.range(20_000).select(F.col("id").alias("k"))
+    a, b = bounded_sample(ids, "k", 500), bounded_sample(ids.repartition(13), "k", 500)
+    assert a.count() == 500 and a.exceptAll(b).isEmpty() and bounded_sample(ids.limit(30), "k", 500).count() == 30
+
+
 def test_held_out_labels_teach_nothing(spark):
     docs, labels = table(spark, DATA, "documents"), table(spark, DATA, "labels")
     turned = labels.withColumn("quality", F.when(quality.held_out(F.col("doc_id")), 1 - F.col("quality")).otherwise(F.col("quality")))
