@@ -169,4 +169,4 @@ def drop_low_quality(docs: DataFrame, labels: DataFrame, train_docs: DataFrame |
     """The rows of `docs`, with their own columns, that the classifier accepts; learnt from `train_docs`, or from `docs`."""
     model = train_quality(docs if train_docs is None else train_docs, labels, p)
     m = Masked(docs)
-    return _scored(m.df, m.name("text"), model, p).where(F.col("score") >= p.threshold).select(m.back())
+    return _scored(spread(m.df, m.name("doc_id")), m.name("text"), model, p).where(F.col("score") >= p.threshold).select(m.back())

@@ -14,6 +14,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from callweave.tables import spread
+
 # Public formats of credentials.
 PATTERNS = {
     "aws_key": r"\bAKIA[0-9A-Z]{16}\b",
@@ -163,6 +165,7 @@ def scan_secrets(docs: DataFrame, forest: list | None = None, id_col: str = "doc
     """
     forest = grow_forest(labelled_findings()) if forest is None else forest
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(path_col).cast("string").alias("source"), F.col(text_col).cast("string").alias("text"))
+    base = spread(base, "doc_id")
     hits = None
     quick = F.lit(False)
     for kind, pattern in PATTERNS.items():
