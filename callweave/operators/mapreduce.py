@@ -62,12 +62,17 @@ def map_reduce(
     return pairs.groupBy("key").applyInPandas(fold, out)
 
 
+def _pieces(text: Column) -> Column:
+    """Lower-case pieces between single blanks, empty ones included: a split on one character needs no regular expression."""
+    return F.split(F.translate(F.lower(text), "\t\n\x0b\f\r", "     "), " ")
+
+
 def words(text: Column, pattern: str | None = None) -> Column:
     """Lower-case tokens: split at white space without empty ones, or all matches of `pattern`."""
     low = F.lower(text)
     if pattern:
         return F.regexp_extract_all(low, F.lit(pattern), 0)
-    return F.filter(F.split(low, r"\s+"), lambda w: w != "")
+    return F.filter(_pieces(text), lambda w: w != "")
 
 
 def word_count(
@@ -82,7 +87,8 @@ def word_count(
 ) -> DataFrame:
     """(*by, word, n). The plan is scan, explode, partial count, one shuffle by word, final count."""
     keys = [*(by or []), "word"]
-    tokens = spread(df.select(*(by or []), col)).select(*(by or []), F.explode(words(F.col(col), pattern)).alias("word"))
+    pieces = words(F.col(col), pattern) if pattern else _pieces(F.col(col))
+    tokens = spread(df.select(*(by or []), col)).select(*(by or []), F.explode(pieces).alias("word")).where("word <> ''")
     if shuffle == "objects":
         tokens = through_objects(tokens, F.col("word"), parts or 8)
     elif not combine:
