@@ -14,6 +14,14 @@ table. Equal vectors are one class with a weight and are never paired. A bucket
 above `block` vectors is cut into blocks that are compared two by two; pairs are
 counted where they first meet and never emitted: a block returns each vector's
 number of links and a spanning forest.
+
+Large groups of near copies would still cost the square of their size. Where a
+bucket is hot, its first vector becomes the centre of a ball of half the
+threshold's angle. Any two vectors of a ball are linked, by the triangle
+inequality on the sphere, so their links are counted by adding weights. A vector
+outside that lies wholly within or wholly beyond reach of a ball is settled by
+its angle to the centre and the ball's radius; only what lies between is
+compared with the ball's members.
 """
 
 from __future__ import annotations
@@ -48,11 +56,10 @@ def bands_for(size: int, p: VectorDupParams) -> tuple[int, int]:
 
 
 class Coder:
-    """Rotations, codes, correction factors and band keys of vectors."""
+    """Rotations, codes, correction factors and band keys of vectors; `turns` are the rotations side by side."""
 
-    def __init__(self, dim: int, bits: int, bands: int, seed: int):
-        self.dim, self.bits, self.bands = dim, bits, bands
-        self.turns = np.concatenate([rotation(dim, seed + i) for i in range(math.ceil(bits * bands / dim))], axis=1)
+    def __init__(self, turns: np.ndarray, bits: int, bands: int):
+        self.turns, self.dim, self.bits, self.bands = turns, len(turns), bits, bands
 
     def keys(self, unit: np.ndarray) -> np.ndarray:
         signs = (unit @ self.turns)[:, : self.bits * self.bands] > 0
@@ -65,6 +72,10 @@ class Coder:
         return o, code, (o * code).sum(axis=1)
 
 
+def rotations(dim: int, bits: int, bands: int, seed: int) -> np.ndarray:
+    return np.concatenate([rotation(dim, seed + i) for i in range(math.ceil(bits * bands / dim))], axis=1)
+
+
 def maybe_linked(o, code, factor, p: VectorDupParams) -> np.ndarray:
     """Pairs that the estimate's confidence bounds can't rule out, as a symmetric matrix of booleans."""
     estimate = code @ o.T / factor[:, None]
@@ -123,31 +134,41 @@ def vector_groups(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embeddi
         return out.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.col("vec_id").isNotNull().alias("kept"))
     dim = classes.select(F.size("vec")).first()[0]
     bits, bands = bands_for(largest, p)
-    coder = spark.sparkContext.broadcast(Coder(dim, bits, bands, p.seed))
+    turns = spark.sparkContext.broadcast(rotations(dim, bits, bands, p.seed))  # an array: broadcasts know no code of ours
     kind = classes.schema["vec"].dataType.simpleString()
 
     label = classes.schema["label"].dataType.simpleString()
-    slots = cut(classes.mapInArrow(lambda batches: _with_keys(batches, coder), f"label {label}, vec {kind}, rep long, weight long, keys array<long>"))
+    slots = cut(classes.mapInArrow(lambda batches: _with_keys(batches, Coder(turns.value, bits, bands)), f"label {label}, vec {kind}, rep long, weight long, keys array<long>"))
     spread = slots.select("rep", "label", F.posexplode("keys").alias("band", "key"))
-    buckets = cut(spread.groupBy("label", "band", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
-    live = spread.join(buckets, ["label", "band", "key"]).groupBy("rep", "label").agg(F.collect_list(F.struct("band", "key", "n")).alias("live"))
-    rows = slots.join(live, ["rep", "label"]).select("rep", "label", "weight", "vec", F.explode("live").alias("s"))
-    cuts = F.ceil(F.col("s.n") / p.block).cast("int")
-    rows = rows.select("rep", "label", "weight", "vec", "s.band", "s.key", F.pmod(F.xxhash64("rep"), cuts).cast("int").alias("i"), F.explode(F.sequence(F.lit(0), cuts - 1)).alias("j"))
-    met = rows.groupBy("label", "band", "key", F.least("i", "j").alias("lo"), F.greatest("i", "j").alias("hi")).agg(
-        F.collect_list(F.struct("rep", "weight", "i", "vec")).alias("members")
-    )
+    keyed = ["label", "band", "key"]
+    sizes = spread.where("band = 0").groupBy(*keyed).agg(F.count(F.lit(1)).alias("n"), F.min("rep").alias("ball"))
+    hot = cut(sizes.where(F.col("n") > p.block).select("label", "ball"))
 
     def compare(batches):
+        coder = Coder(turns.value, bits, bands)
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
-                got = list(_compare(part, coder.value, p))
+                got = list(_compare(part, coder, p))
                 if got:
                     rep, links, root = (np.concatenate(x) for x in zip(*got))
                     yield pa.RecordBatch.from_arrays([pa.array(rep), pa.array(links), pa.array(root)], ["rep", "links", "root"])
 
-    found = cut(met.where(F.size("members") > 1).select("band", "lo", "hi", "members").mapInArrow(compare, "rep long, links long, root long"))
+    def compared(met):
+        return met.where(F.size("members") > 1).select("band", "lo", "hi", "members").mapInArrow(compare, "rep long, links long, root long")
+
+    settled, rest = (None, slots) if hot.isEmpty() else _balls(slots, spread, hot, compared, p)
+    spread = rest.select("rep", "label", F.posexplode("keys").alias("band", "key"))
+    buckets = cut(spread.groupBy(*keyed).agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
+    live = spread.join(buckets, keyed).groupBy("rep", "label").agg(F.collect_list(F.struct("band", "key", "n")).alias("live"))
+    rows = rest.join(live, ["rep", "label"]).select("rep", "label", "weight", "vec", F.explode("live").alias("s"))
+    cuts = F.ceil(F.col("s.n") / p.block).cast("int")
+    rows = rows.select("rep", "label", "weight", "vec", "s.band", "s.key", F.pmod(F.xxhash64("rep"), cuts).cast("int").alias("i"), F.explode(F.sequence(F.lit(0), cuts - 1)).alias("j"))
+    met = rows.groupBy(*keyed, F.least("i", "j").alias("lo"), F.greatest("i", "j").alias("hi")).agg(
+        F.collect_list(F.struct("rep", "weight", "i", "vec")).alias("members")
+    )
+    found = compared(met)
+    found = cut(found if settled is None else found.unionByName(settled))
     comp = components(found.select(F.col("rep").alias("a"), F.col("root").alias("b")))
     links = found.groupBy("rep").agg(F.sum("links").alias("links"))
     named = cut(
@@ -166,10 +187,58 @@ def vector_groups(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embeddi
     )
 
 
-def _with_keys(batches, coder):
+def _angle(a, b):
+    """Angle of two vectors, in double precision, as a native expression."""
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda v, w: v.cast("double") * w.cast("double")), F.lit(0.0), lambda t, v: t + v)
+    cosine = dot(a, b) / F.sqrt(dot(a, a)) / F.sqrt(dot(b, b))
+    return F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), cosine)))
+
+
+def _balls(slots: DataFrame, spread: DataFrame, hot: DataFrame, compared, p: VectorDupParams) -> tuple[DataFrame, DataFrame]:
+    """(rep, links, root) rows of all pairs that a ball takes part in, and the classes that lie in no ball."""
+    limit, slack = math.acos(p.threshold), 1e-9
+    own, keyed = ["label", "rep"], ["label", "band", "key"]
+    centres = cut(slots.join(hot.withColumnRenamed("ball", "rep"), own).select("label", F.col("rep").alias("ball"), F.col("vec").alias("centre"), "keys"))
+    first = centres.select("label", "ball", F.posexplode("keys").alias("band", "key")).groupBy(*keyed).agg(F.min("ball").alias("ball"))
+    at_centre = slots.select(*own, "weight", "vec")
+
+    def measured(pairs):
+        """Distinct (label, rep, ball) with the vector, its weight, and its angle to the ball's centre."""
+        joined = pairs.distinct().join(at_centre, own).join(centres.select("label", "ball", "centre"), ["label", "ball"])
+        return joined.select("label", "rep", "ball", "weight", "vec", _angle(F.col("vec"), F.col("centre")).alias("angle"))
+
+    near = measured(spread.join(first, keyed).select("label", "rep", "ball")).where(F.col("angle") <= limit / 2 - slack)
+    members = cut(near.groupBy(*own).agg(F.min(F.struct("ball", "angle", "weight", "vec")).alias("m")).select(*own, "m.*"))
+    balls = cut(members.groupBy("label", "ball").agg(F.sum("weight").alias("mass"), F.max("angle").alias("radius"), F.count(F.lit(1)).alias("n")))
+
+    tagged = cut(spread.join(members.select(*own, "ball"), own, "left"))
+    held = tagged.where("ball is not null").select(*keyed, F.col("ball").alias("other")).distinct()
+    outside = tagged.join(held, keyed).where("ball is null or other < ball").select("label", "rep", F.col("other").alias("ball"))
+    outside = cut(measured(outside).join(balls, ["label", "ball"]).where(F.col("angle") - F.col("radius") <= limit + slack))
+    whole = F.col("angle") + F.col("radius") <= limit - slack
+    added = outside.where(whole).groupBy("label", "ball").agg(F.sum("weight").alias("added"))
+    inner = members.join(balls, ["label", "ball"]).join(added, ["label", "ball"], "left")
+    inner = inner.select("rep", (F.col("mass") - F.col("weight") + F.coalesce("added", F.lit(0))).alias("links"), F.col("ball").alias("root"))
+    outer = outside.where(whole).select("rep", F.col("mass").alias("links"), F.col("ball").alias("root"))
+
+    edge = cut(outside.where(~whole))
+    counts = edge.groupBy("label", "ball").agg(F.count(F.lit(1)).alias("edges"), F.max("n").alias("n"))
+    counts = counts.select("label", "ball", F.ceil(F.col("n") / p.block).cast("int").alias("mcuts"), F.ceil(F.col("edges") / p.block).cast("int").alias("ecuts"))
+
+    def dealt(rows, side, mine, others):
+        joined = rows.join(counts, ["label", "ball"]).withColumn(mine, F.pmod(F.xxhash64("rep"), F.col(f"{mine}s")).cast("int"))
+        return joined.withColumn(others, F.explode(F.sequence(F.lit(0), F.col(f"{others}s") - 1))).select("label", "ball", "mcut", "ecut", F.struct("rep", "weight", F.lit(side).alias("i"), "vec").alias("m"))
+
+    both = dealt(members, 0, "mcut", "ecut").unionByName(dealt(edge, 1, "ecut", "mcut"))
+    met = both.groupBy("label", "ball", "mcut", "ecut").agg(F.collect_list("m").alias("members"))
+    between = compared(met.select(F.lit(0).alias("band"), F.lit(0).alias("lo"), F.lit(1).alias("hi"), "members"))
+    return inner.unionByName(outer).unionByName(between), slots.join(members.select(*own), own, "left_anti")
+
+
+def _with_keys(batches, coder: Coder):
     for b in batches:
         if b.num_rows:
-            keys = coder.value.keys(unit_rows(matrix(b.column(1))))
+            keys = coder.keys(unit_rows(matrix(b.column(1))))
             lists = pa.ListArray.from_arrays(np.arange(0, keys.size + 1, keys.shape[1], dtype=np.int32), keys.ravel())
             yield pa.RecordBatch.from_arrays([*b.columns, lists], ["label", "vec", "rep", "weight", "keys"])
 

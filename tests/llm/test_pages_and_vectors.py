@@ -182,14 +182,16 @@ def test_neighbours_with_ties_blocks_and_odd_rows(spark):
     assert ann.search(vectors_of(spark, [(100, [1.0, 2.0], 1)])).count() == 0
 
 
-def test_vector_groups_equal_brute_force(spark):
-    rng = np.random.default_rng(2)
+@pytest.mark.parametrize("seed,block,most", [(2, 8, 40), (3, 20, 120), (4, 512, 40), (5, 5, 60)])
+def test_vector_groups_equal_brute_force(spark, monkeypatch, seed, block, most):
+    """Clusters from tight to loose, small ones and, by small blocks, ones that are handled as balls."""
+    rng = np.random.default_rng(seed)
     rows = []
     for c in range(12):
         centre = rng.standard_normal(16)
-        for i in range(rng.integers(1, 40)):
+        for i in range(rng.integers(1, most)):
             rows.append((len(rows), (centre + rng.standard_normal(16) * rng.choice([0.02, 0.15, 0.3])).tolist(), int(c % 3)))
-    rows += [(1000 + i, rows[0][1], 0) for i in range(5)] + [(2000, rows[0][1], None), (2001, [v * 3 for v in rows[0][1]], 0)]
+    rows += [(5000 + i, rows[0][1], 0) for i in range(5)] + [(6000, rows[0][1], None), (6001, [v * 3 for v in rows[0][1]], 0)]
     rows += [(i, v if v is None or len(v) < 8 else v + [0.5] * 8, lab) for i, v, lab in BAD if i]
     x = {i: np.array(np.float32(v), float) for i, v, lab in rows if v and lab is not None and len(v) == 16 and None not in v and np.isfinite(v).all()}
     label = {i: lab for i, _, lab in rows}
@@ -201,8 +203,11 @@ def test_vector_groups_equal_brute_force(spark):
         if new == comp:
             break
         comp = new
-    out = {r["vec_id"]: r for r in neardup_vectors.vector_groups(vectors_of(spark, rows), p=neardup_vectors.VectorDupParams(block=8, recall=0.9999)).collect()}
-    assert len(out) == len(rows)
+    assert len({r[0] for r in rows}) == len(rows)
+    made, balls = [], neardup_vectors._balls
+    monkeypatch.setattr(neardup_vectors, "_balls", lambda *a: made.append(1) or balls(*a))
+    out = {r["vec_id"]: r for r in neardup_vectors.vector_groups(vectors_of(spark, rows), p=neardup_vectors.VectorDupParams(block=block, recall=0.99999)).collect()}
+    assert len(out) == len(rows) and bool(made) == (block < 512)
     for i in comp:
         assert (out[i]["n_links"], out[i]["component_id"], out[i]["kept"]) == (len(links.get(i, ())), comp[i], comp[i] == i), i
 
@@ -210,7 +215,7 @@ def test_vector_groups_equal_brute_force(spark):
 def test_estimates_never_lose_a_pair():
     rng = np.random.default_rng(5)
     p = neardup_vectors.VectorDupParams()
-    coder = neardup_vectors.Coder(64, 8, 4, 1)
+    coder = neardup_vectors.Coder(neardup_vectors.rotations(64, 8, 4, 1), 8, 4)
     base = rng.standard_normal((40, 64))
     x = neardup_vectors.unit_rows(np.concatenate([base, base + 0.3 * rng.standard_normal((40, 64))]))
     true = x @ x.T
