@@ -211,9 +211,10 @@ def _balls(slots: DataFrame, spread: DataFrame, hot: DataFrame, compared, p: Vec
     members = cut(near.groupBy(*own).agg(F.min(F.struct("ball", "angle", "weight", "vec")).alias("m")).select(*own, "m.*"))
     balls = cut(members.groupBy("label", "ball").agg(F.sum("weight").alias("mass"), F.max("angle").alias("radius"), F.count(F.lit(1)).alias("n")))
 
-    tagged = cut(spread.join(members.select(*own, "ball"), own, "left"))
-    held = tagged.where("ball is not null").select(*keyed, F.col("ball").alias("other")).distinct()
-    outside = tagged.join(held, keyed).where("ball is null or other < ball").select("label", "rep", F.col("other").alias("ball"))
+    inside = members.select(*own, "ball")
+    held = cut(spread.join(inside, own).select(*keyed, F.col("ball").alias("other")).distinct())  # the balls that a bucket meets
+    met = spread.join(held, keyed).join(inside, own, "left")
+    outside = met.where("ball is null or other < ball").select("label", "rep", F.col("other").alias("ball"))
     outside = cut(measured(outside).join(balls, ["label", "ball"]).where(F.col("angle") - F.col("radius") <= limit + slack))
     whole = F.col("angle") + F.col("radius") <= limit - slack
     added = outside.where(whole).groupBy("label", "ball").agg(F.sum("weight").alias("added"))
