@@ -16,7 +16,8 @@ from pyspark.sql import functions as F
 
 from callweave.llm.common import Masked, cut
 
-RATIO, LEAST_PAGES = 0.1, 3
+# Ordinary lines reach 4.8 % of a host of 500 pages (sf0.1), a planted line of all hosts stands on 8.6 to 13.2 %; the bound lies between.
+RATIO, LEAST_PAGES = 0.06, 3
 
 
 def _lines(text: Column) -> Column:
