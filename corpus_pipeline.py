@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from callweave.llm import bpe, linededup, mixing, quality, simhash
+from callweave.llm import bpe, linededup, mixing, nearcopies, quality
 from callweave.llm.common import cut, table
 from callweave.llm.queries import MIX, domain_of
 
@@ -30,8 +30,8 @@ def strip_boilerplate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each group of near duplicates."""
-    return simhash.drop_near_duplicates(docs)
+    """The document with the smallest id of each group of near duplicates: fingerprints within 2 bits, or five-word shingles alike at 0.8."""
+    return nearcopies.drop_near_copies(docs)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
