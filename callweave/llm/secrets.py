@@ -23,6 +23,9 @@ PATTERNS = {
     "assigned": r"(?i)\b(?:password|passwd|pwd|secret|token|api_?key|access_?key)\b\s{0,3}[:=]\s{0,3}[\"']?[^\s\"']{8,200}",
     "private_key": r"-----BEGIN [A-Z ]{0,30}PRIVATE KEY-----",
 }
+#: What the operator searches: as above, but names may have prefixes, hyphens and quotes (DB_PASSWORD=, api-key:, "password": ") and values any length.
+SEARCHED = PATTERNS | {"assigned": r"(?i)(?:password|passwd|pwd|secret|token|api[_-]?key|access[_-]?key|secret[_-]?key)\b[\"']?\s{0,3}[:=]\s{0,3}[\"']?[^\s\"']{8,}+"}
+ASSIGNS = r"^[\w-]+[\"']?\s{0,3}[:=]\s{0,3}[\"']?"
 CONTEXT = ("key", "token", "secret", "password", "auth", "credential", "api", "login")
 PLACEHOLDERS = ("example", "changeme", "xxxx", "your", "password", "placeholder", "dummy", "test", "12345", "****", "secret", "redacted")
 # Common words of identifiers, placeholders and prose, for the share of a candidate that a dictionary covers.
@@ -158,7 +161,7 @@ def scan_secrets(docs: DataFrame, forest: list | None = None, id_col: str = "doc
     """(doc_id, kind, cand, n, score, is_secret): the distinct candidates of each text, how often each occurs, its forest score.
 
     Every pattern runs over the whole text. Candidates of an assignment are the
-    assigned value. `is_secret` at half of the trees' mean share. Null and empty
+    assigned value, whole. `is_secret` at half of the trees' mean share. Null and empty
     texts and ids: no candidates, or candidates of a null id. Repeated rows
     repeat their findings. Neighbouring words are the 40 characters before a
     candidate's first place. Private-key headers need no forest.
@@ -168,14 +171,14 @@ def scan_secrets(docs: DataFrame, forest: list | None = None, id_col: str = "doc
     base = spread(base, "doc_id")
     hits = None
     quick = F.lit(False)
-    for kind, pattern in PATTERNS.items():
+    for kind, pattern in SEARCHED.items():
         quick = quick | F.rlike("text", F.lit(pattern))
         found = F.transform(F.regexp_extract_all("text", F.lit(pattern), 0), _as_hit(kind))
         hits = found if hits is None else F.concat(hits, found)
     each = base.where(quick).withColumn("hits", hits)
     each = each.withColumn("h", F.explode(F.array_distinct("hits"))).withColumn("n", F.size(F.filter("hits", lambda x: x == F.col("h"))))
     each = each.withColumn("kind", F.col("h.kind")).withColumn(
-        "cand", F.when(F.col("kind") == "assigned", F.regexp_replace("h.hit", r"^\w+\s{0,3}[:=]\s{0,3}[\"']?", "")).otherwise(F.col("h.hit"))
+        "cand", F.when(F.col("kind") == "assigned", F.regexp_replace("h.hit", ASSIGNS, "")).otherwise(F.col("h.hit"))
     )
     start = F.call_function("locate", F.col("h.hit"), F.col("text")) + F.length("h.hit") - F.length("cand")
     each = each.withColumn("start", start)

@@ -1,0 +1,21 @@
+import pytest
+
+from callweave.llm import secrets
+from tests.llm.test_text_operators import docs_of
+
+KEY = "b7db7aa4a5fcc78305e01b4ad40cdbb6ae7f57"
+FORMS = ["DB_PASSWORD={}", "AWS_SECRET_ACCESS_KEY={}", "client_secret: {}", "api-key={}", '{{"password": "{}", "x": 1}}', "x-access-key: '{}'", "dbtoken = {}", "SECRET_KEY = '{}'", "password={}"]
+
+
+@pytest.mark.parametrize("crlf", [False, True])
+def test_names_with_prefixes_hyphens_and_quotes(spark, crlf):
+    rows = [(i, ("a\r\n" if crlf else "a ") + f.format(KEY) + ("\r\nb" if crlf else " b"), "src") for i, f in enumerate(FORMS)]
+    out = secrets.scan_secrets(docs_of(spark, rows)).collect()
+    assert sorted((r["doc_id"], r["cand"], r["is_secret"]) for r in out) == [(i, KEY, True) for i in range(len(FORMS))]
+
+
+def test_long_values_stay_whole_and_apart(spark):
+    long = [KEY * 8 + end for end in ("a1", "b2")]
+    text = " ".join(f"token={x}" for x in long) + " the token of thanks, secrets: none"
+    out = secrets.scan_secrets(docs_of(spark, [(1, text, "src")])).collect()
+    assert sorted(r["cand"] for r in out) == sorted(long) and all(r["n"] == 1 for r in out)
