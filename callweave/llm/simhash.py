@@ -54,17 +54,20 @@ def _votes(shingles: list[bytes], seed: int, block: int = 1 << 14) -> int:
     return int(np.packbits(bits, bitorder="little").view("<u8")[0])
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3) -> DataFrame:
-    """(doc_id, fp long) of every whole text; no shuffle."""
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, mark: bool = False) -> DataFrame:
+    """(doc_id, fp long) of every whole text, and `mark`, the text's own hash, if asked for; no shuffle."""
+    names = ["doc_id", "fp", "mark"][: 3 if mark else 2]
 
     def run(batches):
         for batch in batches:
             fps = [fingerprint(t.as_py(), shingle) for t in batch.column(1)]
             signed = pa.array(np.array(fps, dtype=np.uint64).view(np.int64), pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), signed], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), signed, *batch.columns[2:]], names)
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return spread(rows, "doc_id").mapInArrow(run, "doc_id long, fp long")
+    if mark:
+        rows = rows.withColumn("mark", F.xxhash64("text"))
+    return spread(rows, "doc_id").mapInArrow(run, ", ".join(f"{n} long" for n in names))
 
 
 def _segments(fp):
@@ -142,12 +145,23 @@ def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of `docs` that are smallest in their group, with all their columns; one row of repeated ids.
+    """One row of `docs` per group, with all its columns: the smallest id's, then fingerprint's, then text hash's.
 
-    Rows with a null id can't be named as a group's smallest and are kept.
+    Groups are of fingerprints, so rows that share an id are told apart by their
+    texts. Rows with a null id can't be named as a group's smallest and are kept.
     """
+    fps = fingerprints(docs, id_col, text_col, mark=True).where("doc_id is not null")
+    classes = cut(fps.groupBy("fp").agg(F.min(F.struct("doc_id", "fp", "mark")).alias("first")))
+    comp = components(near_pairs(classes.select("fp", F.col("fp").alias("rep")))).withColumnRenamed("node", "fp")
+    groups = classes.join(comp, "fp", "left").groupBy(F.coalesce("component", "fp").alias("group"))
+    return pick(docs, cut(groups.agg(F.min("first").alias("f"))), id_col, text_col)
+
+
+def pick(docs: DataFrame, kept: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """One row of `docs` for each of `kept` (f: doc_id and mark, the text's hash), and the rows whose id is null."""
     m = Masked(docs)
-    kept = simhash_groups(docs, id_col, text_col).where("doc_id = component_id").select(F.col("doc_id").alias("keep")).distinct()
-    known = m.df.where(m.col(id_col).isNotNull()).dropDuplicates([m.name(id_col)])
-    named = known.join(kept, m.col(id_col) == F.col("keep"), "left_semi")
+    kept = kept.select(F.col("f.doc_id").alias("keep"), F.col("f.mark").alias("mark"))
+    same_text = F.xxhash64(m.col(text_col).cast("string"))
+    named = m.df.join(kept, (m.col(id_col) == F.col("keep")) & (same_text == F.col("mark")), "left_semi")
+    named = named.withColumn("mark", same_text).dropDuplicates([m.name(id_col), "mark"]).drop("mark")
     return named.union(m.df.where(m.col(id_col).isNull())).select(m.back())

@@ -3,7 +3,7 @@ import random
 import corpus_pipeline as cp
 import pytest
 
-from callweave.llm import nearcopies
+from callweave.llm import nearcopies, simhash
 from callweave.llm.common import table
 from tests.conftest import DATA
 from tests.llm.test_text_operators import ODD, docs_of, plain_fingerprint, plain_groups
@@ -73,6 +73,14 @@ def test_copies_of_one_id_with_other_texts(spark):
         assert sorted((r["doc_id"], r["text"]) for r in out) == [(3, a), (7, b)]
 
 
+def test_rows_of_one_id_by_fingerprints(spark):
+    a, b, c = (" ".join(f"{x}{i}" for i in range(60)) for x in "abc")
+    docs = docs_of(spark, [(3, a, "s"), (7, a, "s"), (7, b, "s"), (7, b, "s"), (9, b, "s"), (9, c, "s")])
+    for parts in (1, 3, 7):
+        out = simhash.drop_near_duplicates(docs.repartition(parts)).collect()
+        assert sorted((r["doc_id"], r["text"]) for r in out) == [(3, a), (7, b), (9, c)]
+
+
 def test_near_copies_odd_rows(spark):
     docs = docs_of(spark, ODD)
     kept = nearcopies.drop_near_copies(docs)
