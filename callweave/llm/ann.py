@@ -9,8 +9,10 @@ survives is measured exactly, on the original vectors in double precision.
 
 How many lists are probed is calibrated on the sample, where brute force is
 cheap, for a recall of `recall` there; rows lie no closer in a sample than in
-the whole table, so the figure is on the safe side. Lists and queries are cut
-into blocks, so no task holds a whole hot list.
+the whole table, so the figure is on the safe side. A query probes further lists
+until those hold k others. Lists are cut into blocks, and a list's queries too,
+as many as probe that very list, so that no task holds a whole hot list and a
+stored row is moved once for each block of queries that look at its list.
 """
 
 from __future__ import annotations
@@ -56,10 +58,13 @@ def fit_centroids(x: np.ndarray, lists: int, seed: int, rounds: int = 8) -> np.n
     return c
 
 
-def nearest_lists(x: np.ndarray, centroids: np.ndarray, n: int) -> np.ndarray:
-    """The `n` nearest centroids of each row, nearest first, ties to the smaller number."""
-    d = (centroids**2).sum(axis=1)[None, :] - 2 * x @ centroids.T
-    return np.argsort(d, axis=1, kind="stable")[:, :n]
+def nearest_lists(x: np.ndarray, centroids: np.ndarray, n: int, rows: int = 512) -> np.ndarray:
+    """The `n` nearest centroids of each row, nearest first, ties to the smaller number; `rows` rows' distances are held at a time."""
+    norms, out = (centroids**2).sum(axis=1), np.empty((len(x), min(n, len(centroids))), np.int64)
+    for at in range(0, len(x), rows):
+        d = norms[None, :] - 2 * x[at : at + rows] @ centroids.T
+        out[at : at + rows] = d.argmin(axis=1)[:, None] if n == 1 else np.argsort(d, axis=1, kind="stable")[:, :n]
+    return out
 
 
 def calibrate(x: np.ndarray, centroids: np.ndarray, p: AnnParams, queries: int = 200) -> int:
@@ -103,22 +108,33 @@ def scan(q: np.ndarray, bound: float, x: np.ndarray, rotated: np.ndarray, turned
     return best_d, best_i
 
 
+OUT = "query_id long, rank int, vec_id long, score double"
+
+
 def search(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 100, p: AnnParams = AnnParams()) -> DataFrame:
     """(query_id, rank, vec_id, score) of the nearest rows to each row whose id is divisible by `every`.
 
-    Vectors that are null, zero, of another dimension or hold null or non-finite
-    components take no part. Ties go to the smaller vec_id; repeated ids are
-    candidates of their own, except to themselves; fewer than k candidates are
-    all returned; an empty table gives an empty table.
+    Vectors that are null, zero or hold null or non-finite components take no
+    part; vectors of different dimensions have no distance, so each dimension is
+    searched on its own. Ties go to the smaller vec_id; repeated ids are
+    candidates of their own, except to themselves, and of repeated query ids
+    (within a dimension) the row with the smallest vector asks; at least k
+    candidates are returned, or all if they are fewer; an empty table gives an
+    empty table.
     """
-    spark = df.sparkSession
     vecs = sound_vectors(df, id_col, vec_col)
-    sample = bounded_sample(vecs, "vec_id", p.sample).toArrow()
-    n = vecs.count()
-    out = "query_id long, rank int, vec_id long, score double"
-    if n == 0:
-        return spark.createDataFrame([], out)
-    x = matrix(sample["vec"])
+    counts = {r["d"]: r["n"] for r in vecs.groupBy(F.size("vec").alias("d")).agg(F.count(F.lit(1)).alias("n")).collect()}  # a row a dimension
+    found = [_search(vecs.where(F.size("vec") == d) if len(counts) > 1 else vecs, n, every, p) for d, n in sorted(counts.items())]
+    out = found[0] if found else df.sparkSession.createDataFrame([], OUT)
+    for more in found[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def _search(vecs: DataFrame, n: int, every: int, p: AnnParams) -> DataFrame:
+    """search() among the `n` vectors of one dimension."""
+    spark = vecs.sparkSession
+    x = matrix(bounded_sample(vecs, "vec_id", p.sample).toArrow()["vec"])
     centroids = fit_centroids(x, int(min(p.max_lists, max(1, round(math.sqrt(n))), len(x))), p.seed)
     probes = calibrate(x, centroids, p)
     shared = spark.sparkContext.broadcast((centroids, rotation(x.shape[1], p.seed)))  # max_lists rows at most
@@ -131,26 +147,27 @@ def search(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", ev
 
     kind = vecs.schema["vec"].dataType.simpleString()
     indexed = cut(vecs.mapInArrow(index, f"vec_id long, vec {kind}, list int"))
-    sizes = {r["list"]: r["n"] for r in indexed.groupBy("list").agg(F.count(F.lit(1)).alias("n")).collect()}  # max_lists rows
-    queries = indexed.where(F.col("vec_id") % every == 0)
-    blocks = max(1, math.ceil(queries.count() / p.queries))
-    cuts = spark.createDataFrame([(k, math.ceil(v / p.block)) for k, v in sizes.items()], "list int, cuts int")
+    sizes = np.zeros(len(centroids), np.int64)
+    for r in indexed.groupBy("list").agg(F.count(F.lit(1)).alias("n")).collect():  # max_lists rows
+        sizes[r["list"]] = r["n"]
+    queries = indexed.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("vec").alias("q"), F.count(F.lit(1)).alias("own"))
 
     def probe(batches):
         c, _ = shared.value
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
-                lists = nearest_lists(matrix(part.column(1)), c, probes).astype(np.int32)
-                row = pa.array(np.repeat(np.arange(part.num_rows), lists.shape[1]))
-                rank = np.tile(np.arange(lists.shape[1], dtype=np.int32), part.num_rows)
-                yield pa.RecordBatch.from_arrays([part.column(0).take(row), part.column(1).take(row), pa.array(lists.ravel()), pa.array(rank)], ["query_id", "q", "list", "probe"])
-
-    probed = queries.select("vec_id", "vec").mapInArrow(probe, f"query_id long, q {kind}, list int, probe int")
-    probed = probed.join(F.broadcast(cuts), "list").withColumn("cut", F.explode(F.sequence(F.lit(0), F.col("cuts") - 1)))
-    probed = probed.withColumn("qb", F.pmod(F.xxhash64("query_id"), F.lit(blocks))).drop("cuts")
-    stored = indexed.join(F.broadcast(cuts), "list").withColumn("cut", F.pmod(F.xxhash64("vec_id"), F.col("cuts")).cast("int"))
-    stored = stored.withColumn("qb", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long")))).drop("cuts")
+                near = nearest_lists(matrix(part.column(1)), c, len(c))
+                held = np.cumsum(sizes[near], axis=1)
+                enough = (held < np.asarray(part.column(2))[:, None] + p.k).sum(axis=1) + 1
+                depth = np.minimum(np.maximum(probes, enough), len(c))
+                row = np.repeat(np.arange(part.num_rows), depth)
+                rank = np.arange(len(row)) - np.repeat(np.cumsum(depth) - depth, depth)
+                lists = near[row, rank].astype(np.int32)
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row)), part.column(1).take(pa.array(row)), pa.array(lists), pa.array(rank.astype(np.int32))], ["query_id", "q", "list", "probe"])
+
+    probed = cut(queries.mapInArrow(probe, f"query_id long, q {kind}, list int, probe int"))
+    cuts = spark.createDataFrame([(k, int(-(-v // p.block))) for k, v in enumerate(sizes.tolist()) if v], "list int, cuts int")
 
     def visit(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         if not len(left) or not len(right):
@@ -162,9 +179,15 @@ def search(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", ev
         got = [(qid, *scan(q[i], bound, v, rotated, turned[i], ids, qid, p)) for i, (qid, bound) in enumerate(zip(left["query_id"], left["bound"]))]
         return pd.DataFrame({"query_id": np.repeat([g[0] for g in got], [len(g[1]) for g in got]), "vec_id": np.concatenate([g[2] for g in got]), "score": np.concatenate([g[1] for g in got])})
 
-    def scanned(part):
-        keys = ["list", "cut", "qb"]
-        return part.groupBy(*keys).cogroup(stored.groupBy(*keys)).applyInPandas(visit, "query_id long, vec_id long, score double")
+    def scanned(asked):
+        """Asked lists (max_lists rows at most) tell how many blocks of queries each of their stored rows meets."""
+        asks = asked.groupBy("list").agg(F.ceil(F.count(F.lit(1)) / p.queries).cast("int").alias("asks")).join(F.broadcast(cuts), "list")
+        asks, keys = cut(asks), ["list", "cut", "qb"]
+        left = asked.join(F.broadcast(asks), "list").withColumn("qb", F.pmod(F.xxhash64("query_id"), F.col("asks")).cast("int"))
+        left = left.withColumn("cut", F.explode(F.sequence(F.lit(0), F.col("cuts") - 1))).select(*keys, "query_id", "q", "bound")
+        right = indexed.join(F.broadcast(asks), "list").withColumn("cut", F.pmod(F.xxhash64("vec_id"), F.col("cuts")).cast("int"))
+        right = right.withColumn("qb", F.explode(F.sequence(F.lit(0), F.col("asks") - 1))).select(*keys, "vec_id", "vec")
+        return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(visit, "query_id long, vec_id long, score double")
 
     first = cut(scanned(probed.where("probe = 0").withColumn("bound", F.lit(float("inf")))))
     kth = first.groupBy("query_id").agg(F.when(F.count(F.lit(1)) >= p.k, F.sort_array(F.collect_list("score"))[p.k - 1]).alias("bound"))

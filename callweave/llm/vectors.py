@@ -9,11 +9,7 @@ from pyspark.sql import functions as F
 
 
 def sound_vectors(df: DataFrame, id_col: str, vec_col: str, *more: str) -> DataFrame:
-    """Rows (vec_id, vec, *more) whose vector has only finite numbers, not all zero, and the table's usual dimension.
-
-    The usual dimension is the most frequent one (of ties the smaller), so a
-    stray vector of another length takes no part. Null ids take no part.
-    """
+    """Rows (vec_id, vec, *more) whose vector has only finite numbers, not all zero. Null ids take no part."""
     x = F.col(vec_col)
     fine = (
         x.isNotNull()
@@ -21,9 +17,7 @@ def sound_vectors(df: DataFrame, id_col: str, vec_col: str, *more: str) -> DataF
         & F.forall(x, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float("inf"))))
         & F.exists(x, lambda v: v != 0)
     )
-    good = df.where(F.col(id_col).isNotNull() & F.coalesce(fine, F.lit(False))).select(F.col(id_col).cast("long").alias("vec_id"), x.alias("vec"), *more)
-    usual = good.groupBy(F.size("vec").alias("d")).agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "d").first()
-    return good.where(F.size("vec") == (usual["d"] if usual else 0))
+    return df.where(F.col(id_col).isNotNull() & F.coalesce(fine, F.lit(False))).select(F.col(id_col).cast("long").alias("vec_id"), x.alias("vec"), *more)
 
 
 def matrix(column) -> np.ndarray:

@@ -168,6 +168,18 @@ def test_neighbours_recall_and_scores(spark):
     assert hits / (10 * (ids % 100 == 0).sum()) >= 0.9
 
 
+def test_far_queries_find_enough(spark):
+    """A query alone in its list, and repeated query ids, still get k neighbours or all there are."""
+    rng = np.random.default_rng(4)
+    rows = [(i, (rng.standard_normal(8) * 0.01 + (i % 40) * 10).tolist(), 1) for i in range(1, 161) if i % 100]
+    rows += [(400, [9999.0] * 8, 1), (500, [1.0] * 8, 1), (500, [2.0] * 8, 1), (500, [399.0] * 8, 1)]
+    got = ann.search(vectors_of(spark, rows), p=ann.AnnParams(recall=0.01)).toPandas()
+    assert got.groupby("query_id")["rank"].max().to_dict() == {400: 10, 500: 10} and not (got.query_id == got.vec_id).any()
+    true = plain_neighbours(np.array([r[1] for r in rows]), np.array([r[0] for r in rows]), len(rows) - 3)
+    mine = got[got.query_id == 500].sort_values("rank")
+    assert mine.score.iloc[0] == pytest.approx(true[0][1])
+
+
 def test_neighbours_with_ties_blocks_and_odd_rows(spark):
     rng = np.random.default_rng(1)
     rows = [(i, rng.standard_normal(8).tolist(), 1) for i in range(150)] + [(200 + i, [1.0] * 8, 1) for i in range(60)] + [(300, [1.0] * 8, None), (100, [1.0] * 8, 2)] + BAD
@@ -177,7 +189,10 @@ def test_neighbours_with_ties_blocks_and_odd_rows(spark):
     tied = got[got.query_id == 300].sort_values("rank")
     assert tied.vec_id.tolist() == [100, *range(200, 209)] and (tied.score == 0).all()
     few = ann.search(vectors_of(spark, rows[:4] + [(0, [2.0] * 8, 1)])).toPandas()
-    assert len(few[few.query_id == 0]) >= 3
+    assert sorted(few[few.query_id == 0].vec_id) == [1, 2, 3] and len(few) == 3
+    short = [(500, [1.0, 0.0, 0.0], 1), (501, [1.0, 1.0, 0.0], 1), (502, [1.0, 2.0, 0.0], None)]
+    both = ann.search(vectors_of(spark, rows + short)).toPandas()
+    assert both[both.query_id == 500].sort_values("rank").vec_id.tolist() == [501, 905, 502]
     assert ann.search(vectors_of(spark, BAD)).count() == 0 and ann.search(vectors_of(spark, [])).count() == 0
     assert ann.search(vectors_of(spark, [(100, [1.0, 2.0], 1)])).count() == 0
 
@@ -212,18 +227,47 @@ def test_vector_groups_equal_brute_force(spark, monkeypatch, seed, block, most):
         assert (out[i]["n_links"], out[i]["component_id"], out[i]["kept"]) == (len(links.get(i, ())), comp[i], comp[i] == i), i
 
 
-def test_estimates_never_lose_a_pair():
+@pytest.mark.parametrize("dim", [64, 100, 33])
+def test_estimates_never_lose_a_pair(dim):
     rng = np.random.default_rng(5)
     p = neardup_vectors.VectorDupParams()
-    coder = neardup_vectors.Coder(neardup_vectors.rotations(64, 8, 4, 1), 8, 4)
-    base = rng.standard_normal((40, 64))
-    x = neardup_vectors.unit_rows(np.concatenate([base, base + 0.3 * rng.standard_normal((40, 64))]))
+    coder = neardup_vectors.Coder(dim, 8, 12, 1)
+    base = rng.standard_normal((60, dim))
+    x = neardup_vectors.unit_rows(np.concatenate([base, base + 0.3 * rng.standard_normal((60, dim))]))
     true = x @ x.T
-    maybe = neardup_vectors.maybe_linked(*coder.codes(x), p)
-    assert maybe[true >= 0.93].all() and maybe[true < 0.3].mean() < 0.05
-    o, code, factor = coder.codes(x)
-    estimate = (code @ o.T / factor[:, None])[~np.eye(80, dtype=bool)]
-    assert abs((estimate - true[~np.eye(80, dtype=bool)]).mean()) < 0.02
+    keys, sketches = coder.sketch(x)
+    pairs = neardup_vectors.Pairs(coder, sketches, p)
+    a, b = (v.ravel() for v in np.nonzero(~np.eye(len(x), dtype=bool)))
+    maybe, cosine = pairs.maybe(a, b), true[a, b]
+    assert maybe[cosine >= 0.93].all() and (dim < 64 or maybe[cosine < 0.3].mean() < 0.05)
+    estimate, error = pairs.estimate(a, b)
+    assert abs((estimate - cosine).mean()) < 0.02 and (abs(estimate - cosine) <= error).mean() > 0.999
+    band = np.full(len(a), 7)
+    assert (pairs.met_before(a, b, band) == (keys[a, :7] == keys[b, :7]).any(axis=1)).all()
+    assert len(sketches[0].tobytes()) < 8 * dim  # less than the vector in doubles
+
+
+def test_recall_of_links_at_the_threshold(spark):
+    """Pairs planted at cosines of 0.93 to 0.95 among unrelated vectors: bands lose no more than their share."""
+    rng = np.random.default_rng(9)
+    base = neardup_vectors.unit_rows(rng.standard_normal((1500, 64)))
+    side = rng.standard_normal((1500, 64))
+    side = neardup_vectors.unit_rows(side - (side * base).sum(axis=1, keepdims=True) * base)
+    cosine = rng.uniform(0.9301, 0.95, (1500, 1))
+    near = cosine * base + np.sqrt(1 - cosine**2) * side
+    rows = [(i, v.tolist(), i % 1500 % 3) for i, v in enumerate(np.concatenate([base, near]))]
+    got = neardup_vectors.vector_groups(vectors_of(spark, rows)).where("n_links = 1 and (vec_id < 1500 or component_id = vec_id - 1500)").count()
+    assert got >= 0.998 * 3000
+
+
+def test_blocks_are_whole_and_bounded():
+    import pyarrow as pa
+
+    names = [f"b{i:03d}" for i in range(60) for _ in range(i % 7 + 1)]
+    batches = [pa.RecordBatch.from_pydict({"bid": names[at : at + 10]}) for at in range(0, len(names), 10)]
+    parts = [t["bid"].to_pylist() for t in neardup_vectors.by_block(iter(batches), 16)]
+    assert sum(parts, []) == names and all(len(p) < 16 + 10 + 7 for p in parts)
+    assert all(a[-1] != b[0] for a, b in zip(parts, parts[1:]))
 
 
 def test_vector_groups_odd_tables(spark):
@@ -233,6 +277,9 @@ def test_vector_groups_odd_tables(spark):
     twice = [(7, [1.0, 0.0], 1), (7, [1.0, 0.0], 1), (8, [1.0, 0.0], 1), (9, [0.0, 1.0], 1)]
     got = sorted((r["vec_id"], r["n_links"], r["component_id"]) for r in neardup_vectors.vector_groups(vectors_of(spark, twice)).collect())
     assert got == [(7, 2, 7), (7, 2, 7), (8, 2, 7), (9, 0, 9)]
+    short = [(1, [1.0] * 8, 1), (2, [1.0] * 8, 1), (3, [1.0] * 3, 1), (4, [1.0, 1.0, 1.05], 1), (5, [1.0] * 3, 2), (6, [-1.0] * 3, 1), (6, [0.0, 1.0, 0.0], 1)]
+    got = sorted((r["vec_id"], r["n_links"], r["component_id"]) for r in neardup_vectors.vector_groups(vectors_of(spark, short)).collect())
+    assert got == [(1, 1, 1), (2, 1, 1), (3, 1, 3), (4, 1, 3), (5, 0, 5), (6, 0, 6), (6, 0, 6)]
 
 
 def test_bits_follow_size():
