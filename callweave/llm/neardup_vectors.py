@@ -111,7 +111,7 @@ class Pairs:
     def __init__(self, coder: Coder, s: np.ndarray, p: VectorDupParams):
         c, self.coder, self.p = coder, coder, p
         self.signs = s[:, : c.signs]
-        self.code = np.ascontiguousarray(s[:, : c.code])
+        self.code = s[:, : c.code].copy()
         self.code[:, -1] &= c.last
         self.planes = s[:, c.signs : c.size - 3].reshape(len(s), PLANES, c.code)
         self.factor, self.low, self.step = np.ascontiguousarray(s[:, c.size - 3 :]).view(np.float64).T

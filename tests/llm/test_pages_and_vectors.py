@@ -245,6 +245,8 @@ def test_estimates_never_lose_a_pair(dim):
     band = np.full(len(a), 7)
     assert (pairs.met_before(a, b, band) == (keys[a, :7] == keys[b, :7]).any(axis=1)).all()
     assert len(sketches[0].tobytes()) < 8 * dim  # less than the vector in doubles
+    told = np.frombuffer(sketches[:1].tobytes(), np.uint64).reshape(1, -1)  # as it comes from a table: read-only
+    assert not list(neardup_vectors.Pairs(coder, told, p).each(*np.zeros((4, 1), int)))
 
 
 def test_recall_of_links_at_the_threshold(spark):
