@@ -36,7 +36,7 @@ def deal(nodes: DataFrame, parent: list[str], budget: str, weight: str, cap: str
     Sorted by cap per weight, a child is full exactly if its cap is at most what
     is left for it and the children behind it at equal price. The first child
     that isn't full has the price of all open ones; those behind it compute lower
-    prices, hence the maximum. Children without positive weight get nothing.
+    prices, hence the maximum. Weights are positive.
     """
     order = Window.partitionBy(*parent).orderBy(F.col(cap) / F.col(weight), key)
     before = order.rowsBetween(Window.unboundedPreceding, -1)
@@ -45,8 +45,7 @@ def deal(nodes: DataFrame, parent: list[str], budget: str, weight: str, cap: str
     full = F.col(cap) / F.col(weight) <= F.col("__price")
     open_price = F.max(F.when(~F.col("__full"), F.col("__price"))).over(Window.partitionBy(*parent))
     return (
-        nodes.where(F.col(weight) > 0)
-        .withColumn("__price", price)
+        nodes.withColumn("__price", price)
         .withColumn("__full", full)
         .withColumn("dealt", F.when(F.col("__full"), F.col(cap)).otherwise(F.col(weight) * open_price))
         .drop("__price", "__full")
@@ -56,8 +55,11 @@ def deal(nodes: DataFrame, parent: list[str], budget: str, weight: str, cap: str
 def leaf_budgets(leaves: DataFrame, budget: float, weights: dict[str, dict[str, float]] | None = None, max_epochs: int = 1) -> DataFrame:
     """(domain, lang, source, tokens, docs, budget) of each leaf; `leaves` has domain, lang, source, tokens and docs.
 
-    `weights` maps a level to weights by name; names without one weigh 1. The
-    frame has a row per leaf of the tree, never per document.
+    `weights` maps a level to weights by name; names without one weigh 1. A node
+    without positive weight gets nothing, nor does anything below it, and what
+    its leaves hold counts nowhere as room: its share goes to siblings, then to
+    siblings of its ancestors. Such leaves have no row. The frame has a row per
+    leaf of the tree, never per document.
     """
 
     def weight(level):
@@ -67,7 +69,7 @@ def leaf_budgets(leaves: DataFrame, budget: float, weights: dict[str, dict[str,
             out = F.when(F.col(level) == name, F.lit(float(w))).otherwise(out)
         return out
 
-    top = leaves.withColumn("cap", (F.col("tokens") * max_epochs).cast("double"))
+    top = leaves.where(F.least(*[weight(level) for level in LEVELS]) > 0).withColumn("cap", (F.col("tokens") * max_epochs).cast("double"))
     given = None
     for depth, level in enumerate(LEVELS):
         path, above = list(LEVELS[: depth + 1]), list(LEVELS[:depth])
@@ -77,7 +79,7 @@ def leaf_budgets(leaves: DataFrame, budget: float, weights: dict[str, dict[str,
             above = ["__root"]
         else:
             nodes = nodes.join(given, above)
-        nodes = nodes.withColumn("budget", F.least("budget", F.sum(F.when(F.col("weight") > 0, F.col("cap"))).over(Window.partitionBy(*above))))
+        nodes = nodes.withColumn("budget", F.least("budget", F.sum("cap").over(Window.partitionBy(*above))))
         given = deal(nodes, above, "budget", "weight", "cap", level).select(*path, F.col("dealt").alias("budget"))
     return leaves.join(given, list(LEVELS))
 
@@ -95,21 +97,29 @@ def mix(
     seed: int = 17,
     tokens: Column | None = None,
     tell: bool = True,
+    keep: list[str] | None = None,
 ) -> DataFrame:
     """A row (own columns and, if `tell`, __domain, __tokens, __epoch) for each document and epoch that is taken.
 
+    With `keep`, rows have those columns of `docs` only, which are set aside when
+    tokens are counted: texts are then read once.
+
     The budget is `budget_share` of all tokens. A leaf's prefix never exceeds
     its budget; documents are taken whole. Null lang or source are leaves named
     empty; a null doc_id orders like an empty id; documents without tokens cost
     nothing and are taken while the prefix lasts; documents that tie in the
-    order (repeated rows) are taken or left together. An empty table gives none.
+    order (repeated rows) are taken or left together. What a leaf's prefix leaves
+    of its budget, because the next document is longer, goes to nobody. An empty
+    table gives none.
     """
     blank = lambda c: F.coalesce(c.cast("string"), F.lit(""))
+    back = docs.columns if keep is None else keep
     own = len(docs.columns)
     counted = tokens if tokens is not None else word_tokens(F.col("text"))
     keys = [blank(c).alias("k") for c in (domain, F.col("lang"), F.col("source"), F.col("doc_id"))]
     named = docs.select("*", *keys, counted.alias("k")).toDF(*[f"c{i}" for i in range(own)], "__domain", "__lang", "__source", "__id", "__tokens")
-    slim = cut(named.select("__domain", "__lang", "__source", "__id", "__tokens"))  # texts are counted once here
+    told = [] if keep is None else [f"c{docs.columns.index(n)}" for n in keep]
+    slim = cut(named.select(*told, "__domain", "__lang", "__source", "__id", "__tokens"))  # texts are counted once here
     leaves = slim.groupBy(F.col("__domain").alias("domain"), F.col("__lang").alias("lang"), F.col("__source").alias("source"))
     leaves = cut(leaves.agg(F.sum("__tokens").alias("tokens"), F.count(F.lit(1)).alias("docs")))
     total = leaves.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0]
@@ -147,7 +157,7 @@ def mix(
         .agg(F.max("__key").alias("__last"))
     )
     edges = cut(edge.join(last, leaf, "left").select(*leaf, "__edge", "__last"))
-    decided = place(named).join(edges, leaf, "left")
+    decided = place(named if keep is None else slim).join(edges, leaf, "left")
     in_rest = F.col("__edge").isNull() | (F.col("__range") < F.col("__edge")) | F.coalesce(F.col("__key") <= F.col("__last"), F.lit(False))
     in_rest = in_rest & (F.col("__rest") > 0)
     epochs = F.concat(
@@ -155,5 +165,5 @@ def mix(
         F.when(in_rest, F.array("__full")).otherwise(F.array().cast("array<int>")),
     )
     return decided.withColumn("__epoch", F.explode(epochs)).select(
-        *[F.col(f"c{i}").alias(n) for i, n in enumerate(docs.columns)], *(["__domain", "__tokens", "__epoch"] if tell else [])
+        *[F.col(f"c{docs.columns.index(n)}").alias(n) for n in back], *(["__domain", "__tokens", "__epoch"] if tell else [])
     )

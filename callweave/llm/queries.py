@@ -36,7 +36,7 @@ def op4_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mixed = mixing.mix(table(spark, sf_dir, "documents"), domain_of(F.col("source")), **MIX)
+    mixed = mixing.mix(table(spark, sf_dir, "documents"), domain_of(F.col("source")), keep=["doc_id", "lang", "source"], **MIX)
     return mixed.select("doc_id", "lang", "source", F.col("__domain").alias("domain"), F.col("__tokens").alias("tokens"), F.col("__epoch").alias("epoch"))
 
 

@@ -119,6 +119,52 @@ def test_shortage_goes_to_siblings_first(spark):
     assert got == {"s1": 100.0, "s2": 1000.0, "s4": 900.0} or got == {"s1": 100.0, "s2": 1000.0, "s4": 500.0}
 
 
+def plain_budgets(tree, budget, weights, path=()):
+    """Budgets by leaf: water-filling at each node among children of positive weight, by what their own subtrees can take."""
+    names = ("domain", "lang", "source")
+
+    def room(leaves, depth):
+        return sum(n for k, n in leaves.items() if all(weights.get(names[d], {}).get(k[d], 1.0) > 0 for d in range(depth, 3)))
+
+    depth = len(path)
+    if depth == 3:
+        return {path: budget}
+    kids = {}
+    for k, n in tree.items():
+        kids.setdefault(k[depth], {})[k] = n
+    w = {c: weights.get(names[depth], {}).get(c, 1.0) for c in kids}
+    open_, given, left = {c: room(v, depth + 1) for c, v in kids.items() if w[c] > 0}, {}, min(budget, room(tree, depth))
+    while open_:
+        price = left / sum(w[c] for c in open_)
+        full = [c for c in open_ if open_[c] <= price * w[c] + 1e-9]
+        for c in full or list(open_):
+            given[c] = open_.pop(c) if full else price * w[c] + 0 * open_.pop(c)
+            left -= given[c]
+    return {k: b for c, x in given.items() for k, b in plain_budgets(kids[c], x, weights, (*path, c)).items()}
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_budgets_with_zero_weights_equal_plain_version(spark, seed):
+    """Nothing is lost to nodes that can't take it: a shortage goes to siblings, then to the ancestors' siblings."""
+    r = random.Random(seed)
+    tree = {(f"d{a}", f"l{b}", f"s{a}{b}{c}"): r.randrange(1, 500) for a in range(3) for b in range(3) for c in range(r.randrange(1, 4))}
+    weights = {"domain": {"d1": 2.0}, "lang": {"l0": 0.0, "l2": 3.0}, "source": {k[2]: r.choice([0.0, 1.0, 5.0]) for k in tree}}
+    leaves = spark.createDataFrame([(*k, n, 1) for k, n in tree.items()], "domain string, lang string, source string, tokens long, docs long")
+    live = sum(n for k, n in tree.items() if k[1] != "l0" and weights["source"][k[2]] > 0)
+    for budget in (0.3 * live, 0.9 * live, 2.0 * live):
+        got = {(x["domain"], x["lang"], x["source"]): x["budget"] for x in mixing.leaf_budgets(leaves, budget, weights).collect()}
+        want = {k: b for k, b in plain_budgets(tree, budget, weights).items() if b > 0}
+        assert {k: round(b, 6) for k, b in got.items() if b > 0} == {k: round(b, 6) for k, b in want.items()}
+        assert sum(got.values()) == pytest.approx(min(budget, live))
+
+
+def test_mix_with_set_aside_columns(spark):
+    docs = docs_of(spark, [(i, "w " * (i % 17 + 1), f"src{i % 3}") for i in range(200)]).select("doc_id", "text", "lang", "source")
+    whole = mixing.mix(docs, F.lit("d"), 0.6, max_epochs=2, seed=5).select("source", "doc_id", "__tokens", "__epoch")
+    slim = mixing.mix(docs, F.lit("d"), 0.6, max_epochs=2, seed=5, keep=["source", "doc_id"]).drop("__domain")
+    assert slim.columns == whole.columns and slim.exceptAll(whole).isEmpty() and whole.exceptAll(slim).isEmpty()
+
+
 def test_mix_equals_plain_version(spark):
     r = random.Random(2)
     rows = [(i, "w " * r.randrange(1, 40), r.choice(["src0", "src0", "src0", "src1", "src2"])) for i in range(400)]
