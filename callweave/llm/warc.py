@@ -1,10 +1,13 @@
 """WARC archives: a deduplicating writer and a salvage reader.
 
-The writer is one text sink: a row is a record, the line separator is the blank
-lines that end a record, so Spark's commit protocol covers archives as any
-other table. The reader checks every record (framing, length, digest); after a
+Records are built as SQL strings and gathered in each task into archives of
+bounded bytes, plain or with a gzip member for each record. An archive is a row
+of Spark's text sink and a file of its own, so the commit protocol covers
+archives as any other table; the sink's line separator is the last byte of the
+archive itself. The reader checks every record (framing, length, digest); after a
 failed check it looks for the next version line or gzip member that holds a
-sound record, goes on there and reports the bytes between as a gap.
+sound record, goes on there and reports the bytes between as a gap. Of a broken
+gzip member, what inflates before the damage is searched for records as well.
 """
 
 from __future__ import annotations
@@ -57,8 +60,15 @@ def plan_records(pages: DataFrame, id_col: str = "page_id", url_col: str = "url"
     )
 
 
-def write_archives(records: DataFrame, path: str, date: str = "2024-01-01T00:00:00Z", records_per_file: int = 4000, gzip: bool = False) -> None:
-    """Write `records` of plan_records() as WARC/1.1 files below `path`; `gzip` makes each file one gzip member."""
+FILE_BYTES = 32 << 20
+
+
+def write_archives(records: DataFrame, path: str, date: str = "2024-01-01T00:00:00Z", file_bytes: int = FILE_BYTES, gzip: bool = False) -> None:
+    """Write `records` of plan_records() as WARC/1.1 files below `path`; `gzip` makes each record a gzip member.
+
+    A file ends with the record that brings it to `file_bytes` (before
+    compression), so it is that and one record long at most.
+    """
     eol = "\r\n"
     urn = lambda c: F.concat(F.lit(f"<{URN}"), F.coalesce(F.col(c).cast("string"), F.lit("")), F.lit(">"))
     uri = F.regexp_replace(F.coalesce("url", F.lit("")), r"[\x00-\x20]", "%20")
@@ -79,9 +89,31 @@ def write_archives(records: DataFrame, path: str, date: str = "2024-01-01T00:00:
         F.lit(f"{eol}Content-Type: application/http; msgtype=response{eol}Content-Length: "),
         F.octet_length("block").cast("string"), F.lit(eol + eol), "block",
     )
-    writer = records.withColumn("block", block).select(record.alias("value")).write
-    writer = writer.option("lineSep", END.decode()).option("maxRecordsPerFile", records_per_file)
-    writer.option("compression", "gzip" if gzip else "none").text(path)
+    whole = records.withColumn("block", block).select(F.concat(record, F.lit(END.decode())).alias("record"))
+
+    def gather(batches):
+        """Archives without their last byte, which the sink writes."""
+        parts, size = [], 0
+        for b in batches:
+            for text in b.column(0):
+                data = text.as_buffer().to_pybytes()
+                parts.append(member(data) if gzip else data)
+                size += len(data)
+                if size >= file_bytes:
+                    yield pa.RecordBatch.from_arrays([pa.array([b"".join(parts)[:-1]], pa.binary())], ["value"])
+                    parts, size = [], 0
+        if parts:
+            yield pa.RecordBatch.from_arrays([pa.array([b"".join(parts)[:-1]], pa.binary())], ["value"])
+
+    files = whole.mapInArrow(gather, "value binary").select(F.col("value").cast("string").alias("value"))
+    files.write.option("lineSep", "\x00" if gzip else "\n").option("maxRecordsPerFile", 1).option("compression", "none").text(path)
+
+
+def member(data: bytes) -> bytes:
+    """A gzip member that ends in a zero byte: the length's highest, or that of an empty member behind one of 16 MB or more."""
+    out = zlib.compressobj(wbits=31)
+    packed = out.compress(data) + out.flush()
+    return packed if packed.endswith(b"\0") else packed + member(b"")
 
 
 def _record(data: bytes, at: int) -> tuple[dict, int] | str:
@@ -128,30 +160,45 @@ def _number(uri: str | None) -> int | None:
     return int(m[1]) if m else None
 
 
-def _member(data: bytes, at: int) -> tuple[bytes, int] | str:
-    """The inflated gzip member at `at` and where it ends; its checksum holds."""
-    unzip = zlib.decompressobj(wbits=31)
-    try:
-        inner = unzip.decompress(data[at:] if at else data)
-    except zlib.error as e:
-        return f"broken member: {e}"
-    return (inner, len(data) - len(unzip.unused_data)) if unzip.eof else "member without end"
+def _member(data: bytes, at: int, step: int = 1 << 16) -> tuple[bytes, int, str]:
+    """What inflates of the gzip member at `at`, where it ends or breaks, and why it isn't sound (empty if it is)."""
+    unzip, out, why = zlib.decompressobj(wbits=31), [], ""
+    view, to = memoryview(data), at
+    while to < len(data) and not unzip.eof:
+        try:
+            out.append(unzip.decompress(view[to : to + step]))
+        except zlib.error as e:
+            why = f"broken member: {e}"
+            break
+        to = min(len(data), to + step)
+    if unzip.eof:
+        return b"".join(out), to - len(unzip.unused_data), ""
+    return b"".join(out), to, why or "member without end"
 
 
 def salvage(data: bytes, inside: bool = False):
-    """Yield ("record", fields) and ("gap", start, end, reason) of an archive's bytes, in order; gaps count bytes of `data`."""
+    """Yield ("record", fields) and ("gap", start, end, reason) of an archive's bytes, in order; gaps count bytes of `data`.
+
+    A broken gzip member is a gap up to the next sound member or record, but for
+    the records found in what inflates of it. A member within 64 KB of damage
+    is found again by its magic bytes.
+    """
     at, gap, why = 0, None, ""
     mark = re.compile(rb"WARC/1\." if inside else rb"WARC/1\.|\x1f\x8b\x08")  # a tear may leave no line end before it
     while at < len(data):
-        found = None
+        found, saved = None, []
         if not inside and data.startswith(b"\x1f\x8b\x08", at):
-            got = _member(data, at)
-            if not isinstance(got, str):
-                parts = list(salvage(got[0], True))
-                if any(p[0] == "record" for p in parts):
-                    found = ([p if p[0] == "record" else ("gap", at, got[1], f"in member: {p[3]}") for p in parts], got[1])
-                else:
-                    got = "member without record"
+            inner, end, got = _member(data, at)
+            parts = list(salvage(inner, True)) if inner else []
+            records = [p for p in parts if p[0] == "record"]
+            if not got and not inner:
+                found = ([], end)  # an empty member
+            elif not got and records:
+                found = ([p if p[0] == "record" else ("gap", at, end, f"in member: {p[3]}") for p in parts], end)
+            elif not got:
+                got = "member without record"
+            else:
+                saved = records
         else:
             got = _record(data, at)
             if not isinstance(got, str):
@@ -163,6 +210,7 @@ def salvage(data: bytes, inside: bool = False):
             yield from found[0]
             at = found[1]
             continue
+        yield from saved
         if gap is None:
             gap, why = at, got
         m = mark.search(data, at + 1)
@@ -177,8 +225,9 @@ SCHEMA = "file string, page_id long, url string, record_type string, refers_to l
 def read_archives(spark: SparkSession, path: str, payloads: bool = True, pattern: str = "*.txt*") -> DataFrame:
     """A row per sound record, and per quarantined gap (gap_reason not null, other record columns null).
 
-    A file is one task's unit; write_archives bounds its records. Files without
-    any record give one gap, empty files nothing.
+    A file is one task's unit and held in memory: write_archives bounds its
+    bytes, archives of other writers can have 2 GB at most (Spark refuses longer
+    binary files). Files without any record give one gap, empty files nothing.
     """
     names = [c.strip().split()[0] for c in SCHEMA.split(",")]
     types = {"string": pa.string(), "long": pa.int64(), "binary": pa.binary()}
@@ -212,8 +261,14 @@ def archive_roundtrip(pages: DataFrame) -> DataFrame:
     """Write all pages as archives in the shared folder and read them back: the records, without payloads.
 
     Null html is an empty payload, null url an empty URI, null page_id stays
-    null; repeated rows stay repeated; an empty table gives no records.
+    null; repeated rows stay repeated; an empty table gives no records. Any gap,
+    or another number of records than of pages, raises an error.
     """
     spark, path = pages.sparkSession, scratch(pages.sparkSession)
     write_archives(plan_records(pages), path)
-    return read_archives(spark, path, payloads=False).where("gap_reason is null").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url")
+    read = cut(read_archives(spark, path, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url", "gap_reason"))
+    gone = F.col("gap_reason").isNotNull()
+    sound, gaps = read.agg(F.count(F.when(~gone, 1)), F.count(F.when(gone, 1))).first()
+    if gaps or sound != (written := pages.count()):
+        raise RuntimeError(f"{sound} records and {gaps} gaps read back, {written} pages written")
+    return read.drop("gap_reason")

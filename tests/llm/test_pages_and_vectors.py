@@ -62,7 +62,7 @@ def test_gzip_members_salvage(spark):
 
 
 def test_gzip_archives_and_gap_rows(spark):
-    path = records_of(spark, [(i, "u", "q" * 200 + str(i)) for i in range(5)], gzip=True, records_per_file=2)
+    path = records_of(spark, [(i, "u", "q" * 200 + str(i)) for i in range(5)], gzip=True)
     assert warc.read_archives(spark, path).where("gap_reason is null").count() == 5
     bad = scratch(spark)
     spark.createDataFrame([("WARC/1.1\r\nContent-Length: 5\r\n\r\nabc",)], "v string").write.text(bad)
@@ -70,6 +70,61 @@ def test_gzip_archives_and_gap_rows(spark):
     assert row["gap_reason"] == "wrong length" and row["gap_start"] == 0 and row["page_id"] is None
 
 
+def own_gzip(spark, n):
+    rng = np.random.default_rng(2)
+    rows = [(i, f"u{i}", rng.bytes(600).hex()) for i in range(n)]
+    files = spark.read.format("binaryFile").load(records_of(spark, rows, gzip=True)).collect()
+    data = b"".join(bytes(r["content"]) for r in files)
+    assert gzip.decompress(data).count(b"WARC/1.1\r\n") == n  # any reader takes them
+    return data
+
+
+def test_own_gzip_loses_one_record_to_one_byte(spark):
+    data = own_gzip(spark, 200)
+    assert [p[0] for p in warc.salvage(data)] == ["record"] * 200
+    for at in (3, len(data) // 3, len(data) // 2, len(data) - 9):
+        hurt = bytearray(data)
+        hurt[at] ^= 1
+        parts = list(warc.salvage(bytes(hurt)))
+        assert sum(p[0] == "record" for p in parts) >= 199 and sum(p[0] == "gap" for p in parts) <= 1
+    parts = list(warc.salvage(data[:-20]))
+    assert sum(p[0] == "record" for p in parts) >= 199 and parts[-1][0] == "gap" and parts[-1][2] == len(data) - 20
+
+
+def test_records_before_damage_in_one_member():
+    """An archive of another writer, all records in one member: what inflates before the damage is kept."""
+    rng = np.random.default_rng(3)
+    records = []
+    for i in range(200):
+        body = rng.bytes(400).hex().encode()
+        http = b"HTTP/1.1 200 OK\r\nContent-Length: %d\r\n\r\n" % len(body)
+        head = b"WARC/1.1\r\nWARC-Type: response\r\nWARC-Record-ID: <urn:callweave:page:%d>\r\nWARC-Payload-Digest: sha256:%s\r\nContent-Length: %d\r\n\r\n"
+        records.append(head % (i, hashlib.sha256(body).hexdigest().encode(), len(http + body)) + http + body + b"\r\n\r\n")
+    data = bytearray(gzip.compress(b"".join(records)))
+    data[len(data) // 2] ^= 0x10
+    parts = list(warc.salvage(bytes(data)))
+    ids = [p[1]["page_id"] for p in parts if p[0] == "record"]
+    assert ids[:40] == list(range(40)) and len(set(ids)) == len(ids) and [p[1:3] for p in parts if p[0] == "gap"] == [(0, len(data))]
+
+
+def test_members_end_in_zero_and_files_are_bounded(spark):
+    for size in (1, 255, 1 << 16, (1 << 24) + 5):
+        packed = warc.member(b"x" * size)
+        assert packed.endswith(b"\0") and gzip.decompress(packed) == b"x" * size
+    rows = [(i, "u", f"{i} " + "y" * 1000) for i in range(300)]
+    for zipped in (False, True):
+        path = records_of(spark, rows, file_bytes=20_000, gzip=zipped)
+        files = spark.read.format("binaryFile").load(path).select("length").collect()
+        assert len(files) >= 15 and all(r[0] < 20_000 + 2000 for r in files)
+        assert sorted(r[0] for r in warc.read_archives(spark, path).where("gap_reason is null").select("page_id").collect()) == list(range(300))
+
+
+def test_lost_records_raise(spark, monkeypatch):
+    monkeypatch.setattr(warc, "write_archives", lambda records, path, write=warc.write_archives: write(records.where("page_id <> 3"), path))
+    with pytest.raises(RuntimeError, match="4 records and 0 gaps"):
+        warc.archive_roundtrip(pages_of(spark, [(i, "u", str(i)) for i in range(5)]))
+
+
 def test_warc_odd_rows(spark):
     big = "b" * 3_000_000
     rows = [(1, None, None), (2, "u v\r\nX: y", ""), (None, "u", "n" * 120), (4, "u", "n" * 120), (5, "u", "n" * 120), (6, "u", "n" * 99), (7, "u", "n" * 99), (8, "u", big), (9, "u", big), (4, "u", "n" * 120), (10, "ü", "é\r\n\r\nWARC/1.1\r\n" * 20)]
