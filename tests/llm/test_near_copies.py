@@ -64,6 +64,22 @@ def test_stage_keeps_no_near_copy_of_a_kept_document(spark, sf):
     assert alike and not [p for p in alike if p[0] in kept and p[1] in kept]
 
 
+def test_one_bit_hashes_tell_shared_passages_from_copies():
+    r = random.Random(5)
+    shared, kept, left = [f"s{i}" for i in range(60)], 0, 0
+    bits = lambda words: nearcopies.band_keys(nearcopies.shingle_set(" ".join(words)))[1]
+    apart = lambda x, y: int(sum(bin(int(v)).count("1") for v in bits(x) ^ bits(y)))
+    for i in range(150):
+        base = [f"w{i}x{k}" for k in range(200)]
+        copy = list(base)
+        copy[20] = copy[80] = copy[140] = copy[195] = "new"  # 20 of 196 shingles: similarity 0.82
+        assert jaccard(plain_set(" ".join(base)), plain_set(" ".join(copy))) >= 0.8
+        kept += apart(base, copy) <= nearcopies.most_apart(0.8)
+        other = [f"v{i}x{r.random()}" for _ in range(110)]
+        left += apart(base[:110] + shared, other + shared) > nearcopies.most_apart(0.8)
+    assert kept == 150 and left >= 149
+
+
 def test_copies_of_one_id_with_other_texts(spark):
     """Of rows that share an id, a known copy goes and the only copy of another text stays, on any partitioning."""
     a, b = (" ".join(f"{x}{i}" for i in range(60)) for x in "ab")
