@@ -8,7 +8,8 @@ from callweave.llm.common import cut, table
 from callweave.llm.queries import MIX, mix_sql
 from tests.conftest import DATA
 from tests.helpers import same_rows
-from tests.llm.test_text_operators import ODD, docs_of, plain_fingerprint, plain_groups
+from tests.llm.test_near_copies import plain_kept
+from tests.llm.test_text_operators import ODD, docs_of
 
 
 def test_stage_by_stage_against_plain_versions(spark, duck):
@@ -30,8 +31,7 @@ def test_stage_by_stage_against_plain_versions(spark, duck):
     assert {i: r["text"] for i, r in got.items()} == want and all(r["n_chars"] == len(r["text"]) for r in got.values())
 
     single = cut(cp.drop_near_copies(spark, cleaned, DATA))
-    label = plain_groups([(i, plain_fingerprint(t)) for i, t in want.items()])
-    assert {r[0] for r in single.select("doc_id").collect()} == {i for i in want if label[i] == i}
+    assert {r[0] for r in single.select("doc_id").collect()} == plain_kept(list(want.items()))
 
     mixed = cut(cp.mix_sources(spark, single, DATA))
     duck.register("single_rows", single.toPandas())
