@@ -25,19 +25,41 @@ from callweave.tables import spread
 # Element names of HTML.
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript iframe template svg math object title textarea select".split())
+RAW = frozenset("script style noscript iframe template title textarea select".split())
+#: Drawings and formulas: every element within is inline and may close itself.
+FOREIGN = frozenset(("svg", "math"))
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 HOLDERS = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table", "tbody", "thead", "tfoot"}, "td": {"tr", "table"}, "th": {"tr", "table"}}
 TAGS = "html body article main section div p h1 h2 h3 h4 h5 h6 ul ol li dl blockquote pre table tbody tr td figure figcaption header footer nav aside form fieldset button head dialog menu details".split()
-AGAINST = re.compile(r"(?:^|[^a-z])(?:ads?|adv|advert\w*|banner\w*|promo\w*|sponsor\w*|nav\w*|menu\w*|bread\w*|head(?:er)?|top-?bar|foot(?:er)?|contentinfo|complementary|side-?bar\w*|aside|widget\w*|cookie\w*|consent\w*|notice\w*|alert\w*|popup\w*|modal\w*|gdpr|comment\w*|repl(?:y|ies)|disqus|discussion|respon\w*|shar(?:e|ing)\w*|social\w*|relat\w*|recommend\w*|newsletter\w*|subscri\w*|sign-?up|login|search\w*|form\w*|pag(?:er|ination)|copyright|legal|tags?|toc)(?![a-z])")
-FOR = re.compile(r"(?:^|[^a-z])(?:article\w*|content(?!info)\w*|post\w*|entry\w*|story\w*|main\w*|body|text|prose|blog)(?![a-z])")
+# Parts of class, id and role names that tell what a block is, or nothing by themselves.
+AGAINST = re.compile(r"(?:ads?|adv|advert\w*|banners?|promos?|promotions?|sponsor\w*|nav|navbar|navigation|menus?|breadcrumbs?|header|masthead|topbar|footer|contentinfo|complementary|sidebars?|aside|widgets?|cookies?|consent|notices?|alerts?|popups?|modal|gdpr|comments?|repl(?:y|ies)|respond|disqus|discussion|share|sharing|social|related|recommend\w*|newsletter|subscri\w*|signup|login|search|forms?|pager|pagination|copyright|legal|tags?|toc)")
+FOR = re.compile(r"(?:articles?|content|posts?|entry|story|main|body|text|prose|blog)")
+NEUTRAL = re.compile(r"(?:\w|\d+\w*|\w*\d+|list|items?|box|bar|block|area|wrap|wrapper|wrapped|container|inner|outer|section|group|row|col|column|site|page|global|top|bottom|left|right|head|foot|title|links?|buttons?|btn|icons?|panel|slot|unit|card|primary|secondary|mobile|desktop|js|md|lg|sm|xs|is|has|the|skip|up|slider?|overlay|media|widget|area|region|module|component|root|view|field|input|meta|info|thread|section)")
+WORD = re.compile(r"[a-z]+\d*|\d+")
 
 TOKEN = re.compile(r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[(.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/<>]*)((?:[^<>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>", re.S)
-ATTR = re.compile(r"\b(class|id|role|hidden|data-y)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
+ATTR = re.compile(r"(?<![\w-])(class|id|role|hidden|style|data-y)(?![\w-])(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
+UNSEEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
+#: Hints of a block's names: none, against, for, both, and a word against among others that mean something else.
+HINTS = 5
 KINDS = 4
 LENGTHS, LINKS = (0, 20, 60, 160, 500, 2000), (0.01, 0.2, 0.5, 0.8)
-N_FEATURES = 1 + len(TAGS) + 1 + 4 + (len(LENGTHS) + 1) + (len(LINKS) + 1) + 7
+N_FEATURES = 1 + len(TAGS) + 1 + HINTS + (len(LENGTHS) + 1) + (len(LINKS) + 1) + 7
+
+
+def hint_of(names: str) -> int:
+    """What class, id and role names say: each name counts as a whole, so "notice-of-intent" is no notice, but "cookie-notice-2" is."""
+    against = good = partly = False
+    for name in re.sub(r"([a-z])([A-Z])", r"\1-\2", names).lower().split():
+        parts = WORD.findall(name)
+        bad = [bool(AGAINST.fullmatch(x)) for x in parts]
+        if any(bad):
+            known = all(b or FOR.fullmatch(x) or NEUTRAL.fullmatch(x) for x, b in zip(parts, bad))
+            against, partly = against or known, partly or not known
+        elif any(FOR.fullmatch(x) for x in parts):
+            good = True
+    return 3 if against and good else 1 if against else 2 if good else 4 if partly else 0
 
 
 class Page:
@@ -45,12 +67,13 @@ class Page:
 
     def __init__(self, source: str):
         self.parent, self.tag, self.hint, self.label = [-1], ["html"], [0], [0]
+        self.unseen = [False]  # hidden blocks and all below them, which readers don't see
         self.runs: list[tuple[int, str, int]] = []  # block, text, 1 inside a link
         self._read(source)
         self._describe()
 
     def _open(self, tag, attrs, parent):
-        hint, y = 0, 0
+        hint, y, unseen = 0, 0, self.unseen[parent]
         if attrs:
             names = ""
             for m in ATTR.finditer(attrs):
@@ -58,11 +81,13 @@ class Page:
                 if m[1].lower() == "data-y":
                     y = 1
                 elif m[1].lower() == "hidden":
-                    names += " modal"
+                    unseen = unseen or value.lower() != "until-found"
+                elif m[1].lower() == "style":
+                    unseen = unseen or bool(UNSEEN.search(value))
                 else:
-                    names += " " + value.lower()
-            against, good = bool(AGAINST.search(names)), bool(FOR.search(names))
-            hint = 3 if against and good else 1 if against else 2 if good else 0
+                    names += " " + value
+            hint = hint_of(names) if names else 0
+        self.unseen.append(unseen)
         self.parent.append(parent)
         self.tag.append(tag)
         self.hint.append(hint)
@@ -101,9 +126,9 @@ class Page:
             if m[2]:
                 if held[name]:
                     depth = next(d for d in range(len(stack) - 1, 0, -1) if stack[d][0] == name)
-                    if name not in INLINE or all(n in INLINE for n, _ in stack[depth + 1 :]):
+                    if name in FOREIGN or name not in INLINE or all(n in INLINE for n, _ in stack[depth + 1 :]):
                         close(depth)
-                if name not in INLINE:
+                if name not in INLINE and not held["svg"] and not held["math"]:
                     self.runs.append((stack[-1][1], "\n", 0))
                 continue
             if name in RAW:
@@ -121,8 +146,19 @@ class Page:
                 if name != "wbr":
                     self.runs.append((stack[-1][1], " ", 0))
                 continue
-            if name in INLINE:
-                push(name, stack[-1][1])
+            if name in FOREIGN or held["svg"] or held["math"]:
+                if name == "text":
+                    self.runs.append((stack[-1][1], " ", 0))
+                if not (m[4] or "").endswith("/"):
+                    push(name, stack[-1][1])
+                continue
+            if name in INLINE or name == "object":
+                unseen = m[4] and ("hidden" in m[4] or "none" in m[4]) and self._open("div", m[4], stack[-1][1])
+                if unseen and not self.unseen[unseen]:
+                    for kept in (self.parent, self.tag, self.hint, self.label, self.unseen):
+                        kept.pop()
+                    unseen = None
+                push(name, unseen or stack[-1][1])
                 continue
             if name in ("html", "body", "head") and held[name]:
                 continue
@@ -146,7 +182,7 @@ class Page:
         n = len(self.parent)
         chars, linked = [0] * n, [0] * n
         for b, t, a in self.runs:
-            k = len(t.strip())
+            k = 0 if self.unseen[b] else len(t.strip())
             chars[b] += k
             linked[b] += k * a
         own = list(chars)
@@ -166,7 +202,7 @@ class Page:
             feats = [0, base + tag_at.get(tag, len(TAGS))]
             base += len(TAGS) + 1
             feats.append(base + hint)
-            base += 4
+            base += HINTS
             feats.append(base + sum(chars[b] > x for x in LENGTHS))
             base += len(LENGTHS) + 1
             feats.append(base + sum(share > x for x in LINKS))
@@ -175,14 +211,14 @@ class Page:
             feats.append(base + 3 + inside[b])
             feats.append(base + 5 + int(share > 0.6 and tag in ("div", "section", "ul", "ol")))
             rows.append(feats)
-            kind.append(1 if bad else 2 if tag in ("article", "main") or hint >= 2 else 3 if tag in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre", "td") else 0)
+            kind.append(1 if bad else 2 if tag in ("article", "main") or hint in (2, 3) else 3 if tag in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre", "td") else 0)
         self.features, self.kind = rows, kind
 
     def text(self, wanted) -> str:
         """The wanted blocks' text in page order: white space as one blank, blocks one blank apart."""
         parts, last = [], None
         for b, t, _ in self.runs:
-            if wanted[b]:
+            if wanted[b] and not self.unseen[b]:
                 if last is not None and last != b:
                     parts.append(" ")
                 parts.append(t)
@@ -240,6 +276,8 @@ def labelled_pages(n: int = 360, seed: int = 11) -> list[str]:
     link = lambda: f'<a href="/{word()}">{words(1, 3)}</a>'
     links = lambda k: "<ul>" + "".join(f"<li>{link()}</li>" for _ in range(k)) + "</ul>"
     Y = " data-y"
+    HINTED = ["notice", "comment", "header", "form", "menu", "share", "alert", "search", "legal", "banner"]
+    named = lambda of: f"{rng.choice(HINTED)}-{of}-{word()}"
 
     def noise():
         return rng.choice([
@@ -270,6 +308,7 @@ def labelled_pages(n: int = 360, seed: int = 11) -> list[str]:
             lambda: f"<table{Y}><tr{Y}><td{Y}>{words(1, 6)}</td><td{Y}>{words(1, 6)}</td></tr></table>",
             lambda: f"<div{Y}>{words(10, 90)}</div>",
             lambda: f"<section{Y}><h3{Y}>{words(1, 5)}</h3><p{Y}>{words(8, 80)}</p></section>",
+            lambda: f'<{(t := rng.choice(["p", "p", "section", "div"]))} {rng.choice(["id", "class"])}="{rng.choice([named("of"), named("on"), word() + "-" + rng.choice(HINTED), rng.choice(HINTED) + "-" + word()])}"{Y}>{words(10, 80)}</{t}>',
         ])()
 
     out = []
@@ -281,6 +320,10 @@ def labelled_pages(n: int = 360, seed: int = 11) -> list[str]:
             body.append(comments())
         tag, attrs = rng.choice([("article", ""), ("article", ""), ("article", ' class="post"'), ("main", ""), ("div", ' class="content"'), ("div", ' id="article-body"'), ("div", ' class="entry-content"'), ("section", ' class="story"'), ("main", ' id="content"')])
         core = f"<{tag}{attrs}{Y}>{rng.choice(['', f'<h1{Y}>{words(2, 12)}</h1>'])}{''.join(body)}</{tag}>"
+        if rng.random() < 0.12:  # an article without names or paragraphs
+            core = f"<div{Y}>{'<br><br>'.join(words(30, 130) for _ in range(rng.randint(1, 4)))}</div>"
+        elif rng.random() < 0.1:
+            core = f"<div{Y}>{''.join(body)}</div>"
         if rng.random() < 0.3:
             core = f'<div class="{rng.choice(["wrap", "page", "container", "main"])}">{core}{noise() if rng.random() < 0.5 else ""}</div>'
         before, after = [noise() for _ in range(rng.randint(0, 4))], [noise() for _ in range(rng.randint(0, 2))]

@@ -181,6 +181,35 @@ def test_article_of_a_full_page(model):
     assert text_of(model, page) == "Head & line First bolder text here — with a link. Second été paragraph of words that goes on."
 
 
+def test_hand_written_pages(model):
+    """Token precision and recall on pages of other layouts than the generator's, labelled by hand."""
+    from collections import Counter
+
+    from tests.llm.gold_pages import GOLD
+
+    scores = []
+    for page, wanted in GOLD:
+        got, want = Counter(text_of(model, page).split()), Counter(wanted.split())
+        both = sum((got & want).values())
+        scores.append((both / max(1, sum(got.values())), both / sum(want.values())))
+    precision, recall = np.mean(scores, axis=0)
+    assert recall >= 0.99 and precision >= 0.95 and min(s[0] for s in scores) > 0.85, scores
+
+
+@pytest.mark.parametrize("names,hint", [("notice-of-intent", 4), ("cookie-notice-2", 1), ("comment-law", 4), ("comment-list", 1), ("cookieBanner", 1), ("entry-content", 2), ("site-header main", 3), ("plain", 0), ("ad", 1), ("advice", 0), ("comment-1234", 1)])
+def test_names_count_whole(names, hint):
+    assert html_content.hint_of(names) == hint
+
+
+def test_foreign_and_hidden_elements(model):
+    words = "plain words of a paragraph that goes on for a while and ends here"
+    assert text_of(model, f"<article><p>{words} <math><mi>E</mi><mo>=</mo><mn>1</mn></math> so.</p></article>") == f"{words} E=1 so."
+    assert text_of(model, f"<article><p>{words}</p><p style='color:red; display : none'>{words}</p><p>more <i hidden>no</i>words</p></article>") == f"{words} more words"
+    assert text_of(model, f"<article><p>{words}<svg><g><path/><text>axis</text></g></svg></p><object><p>{words}</p></object></article>") == f"{words} axis {words}"
+    bare = "some words of an article that stands in no paragraph. " * 24
+    assert text_of(model, f"<body><div>{bare}</div></body>") == bare.strip()
+
+
 def test_html_query_and_odd_rows(spark, model):
     assert queries.op4_main_text(spark, DATA).where("text like '%<%' or n_chars <> length(text)").isEmpty()
     rows = [(1, None, None), (2, "u", ""), (None, "u", "<article><p>some words of an article here and there"), (4, "u", "<" * 10_000), (5, "u", "<article><p>" + "word " * 100_000), (6, "u", "<script>never closed"), (7, "u", "<div>" * 3000 + "deep"), (7, "u", "<!-- open comment <p>x")]
