@@ -7,11 +7,16 @@ Candidates meet in one of 40 bands of six min-hashes each, so a pair exactly at
 in over 52 places are left out before their sets are fetched: at 0.8 a tenth of
 the bits differ, and over 52 do with a chance of 1 in ten million; documents that
 merely share a passage, at 0.25, differ in 90. The others are verified on the
-whole sets, never estimated.
+whole sets, never estimated, but for one last test where buckets are compared in
+pairs: there the low bytes of all min-hashes must agree in 168 places of 240,
+which a pair exactly at 0.8 misses with a chance of 3 in 100,000, one at 0.82 of
+one in a million, and most pairs around 0.65 do.
 
 A band's bucket is not expanded into pairs. Its members are first compared with
-one pivot each, by a few bands, then by all (each band has a pivot of its own),
-leaving out pairs that are connected already. What is compared in pairs at last
+one pivot each, by a few bands, then by all, leaving out pairs that are connected
+already. The pivot is the member that meets most others over all its bands: of
+copies with different edits that is their original, to which each of them is
+more similar than to one another. What is compared in pairs at last
 are the members outside the largest connected group of their bucket, with all
 that they aren't connected to. A large group of near copies thus costs
 comparisons in proportion to its size; only a large bucket whose members are
@@ -44,8 +49,8 @@ def shingle_set(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
     return np.unique(np.array([xxhash.xxh64_intdigest(b" ".join(words[i : i + shingle])) for i in range(n)], np.uint64))
 
 
-def band_keys(hashes: np.ndarray, block: int = 1 << 12) -> tuple[np.ndarray, np.ndarray]:
-    """One 64-bit key a band, equal where all the band's min-hashes are, and one bit of each min-hash in 64-bit words."""
+def band_keys(hashes: np.ndarray, block: int = 1 << 12) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """One 64-bit key a band, equal where all the band's min-hashes are; of each min-hash one bit, and one byte, in 64-bit words."""
     rng = np.random.default_rng(8)
     flip, times = rng.integers(0, 1 << 64, (2, BANDS * ROWS, 1), np.uint64)
     times |= np.uint64(1)
@@ -54,11 +59,11 @@ def band_keys(hashes: np.ndarray, block: int = 1 << 12) -> tuple[np.ndarray, np.
         least = np.minimum(least, ((hashes[None, at : at + block] ^ flip) * times).min(axis=1))
     keys = np.array([xxhash.xxh64_intdigest(least[b * ROWS : (b + 1) * ROWS].tobytes(), b) for b in range(BANDS)], np.uint64)
     bits = np.packbits((least >> np.uint64(23) & np.uint64(1)).astype(np.uint8))
-    return keys, np.pad(bits, (0, -len(bits) % 8)).view(np.uint64)
+    return keys, np.pad(bits, (0, -len(bits) % 8)).view(np.uint64), (least >> np.uint64(32)).astype(np.uint8).view(np.uint64)
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, shingle: int = SHINGLE) -> DataFrame:
-    """(doc_id, mark, fp, node, size, bands, sig) of each row that has an id; mark is the hash of the text itself, fp its SimHash."""
+    """(doc_id, mark, fp, node, size, bands, sig, fine) of each row that has an id; mark is the hash of the text itself, fp its SimHash."""
     none = np.zeros(0, np.uint64)
 
     def lists(arrays):
@@ -74,13 +79,13 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, shingle: int = SHINGLE
                 fps.append(fingerprint(t))
                 nodes.append(xxhash.xxh3_64_intdigest(s.tobytes()))
                 sizes.append(len(s))
-                sketched.append(band_keys(s) if len(s) else (none, none))
+                sketched.append(band_keys(s) if len(s) else (none, none, none))
             fps, nodes = (pa.array(np.array(x, np.uint64).view(np.int64), pa.int64()) for x in (fps, nodes))
-            out = [batch.column(0), batch.column(1), fps, nodes, pa.array(sizes, pa.int32()), *(lists([x[i] for x in sketched]) for i in (0, 1))]
-            yield pa.RecordBatch.from_arrays(out, ["doc_id", "mark", "fp", "node", "size", "bands", "sig"])
+            out = [batch.column(0), batch.column(1), fps, nodes, pa.array(sizes, pa.int32()), *(lists([x[i] for x in sketched]) for i in range(3))]
+            yield pa.RecordBatch.from_arrays(out, ["doc_id", "mark", "fp", "node", "size", "bands", "sig", "fine"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("mark"), F.col(text_col).cast("string").alias("text"))
-    return spread(rows.where("doc_id is not null"), "doc_id").mapInArrow(run, "doc_id long, mark long, fp long, node long, size int, bands array<long>, sig array<long>")
+    return spread(rows.where("doc_id is not null"), "doc_id").mapInArrow(run, "doc_id long, mark long, fp long, node long, size int, bands array<long>, sig array<long>, fine array<long>")
 
 
 def _sets(rows: DataFrame, shingle: int) -> DataFrame:
@@ -117,12 +122,32 @@ def _perhaps(x: str, y: str, least: float):
     return (F.least(size, other) >= F.lit(least) * F.greatest(size, other) - F.lit(1e-9)) & (sum(words[1:], words[0]) <= most_apart(least))
 
 
+def least_agree(least: float) -> int:
+    """Agreeing bytes of min-hashes that a pair of that similarity has, but for four standard deviations."""
+    n, share = BANDS * ROWS, least + (1 - least) / 256
+    return math.ceil(n * share - 4 * math.sqrt(n * share * (1 - share)))
+
+
+def _probably(x: str, y: str, least: float):
+    """Whether so many bytes agree: every byte's bits are or-ed into its lowest, which is one where the bytes differ."""
+
+    def differ(a, b):
+        d = a.bitwiseXOR(b)
+        for shift in (4, 2, 1):
+            d = d.bitwiseOR(F.shiftrightunsigned(d, shift))
+        return F.bit_count(d.bitwiseAND(F.lit(0x0101010101010101)))
+
+    return F.aggregate(F.zip_with(x, y, differ), F.lit(0), lambda t, v: t + v) <= BANDS * ROWS - least_agree(least)
+
+
 def similar_pairs(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str, shingle: int = SHINGLE, least: float = LEAST) -> DataFrame:
     """Edges (a, b) between nodes that connect all nodes of that similarity; `rows` are the stored sketches of `docs`."""
     nodes = rows.where("size > 0").dropDuplicates(["node"]).select("node", F.struct("size", "sig").alias("seen"), "doc_id", "mark", F.posexplode("bands").alias("band", "key"))
     keyed = cut(nodes)
-    order = F.struct(F.xxhash64("node", "key").alias("o"), F.col("node").alias("pivot"), F.col("seen").alias("pseen"))
-    pivots = cut(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min(order).alias("p")).where("n > 1").select("key", "p.pivot", "p.pseen"))
+    shared = cut(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
+    meets = cut(keyed.select("node", "key").join(shared, "key").groupBy("node").agg(F.sum("n").alias("meets")))
+    order = F.struct("meets", F.col("node").alias("pivot"), F.col("seen").alias("pseen"))
+    pivots = cut(keyed.join(shared, "key").join(meets, "node").groupBy("key").agg(F.max(order).alias("p")).select("key", "p.pivot", "p.pseen"))
     members = cut(keyed.join(pivots, "key"))
     forget(keyed)
     wanted = cut(members.select("node", "doc_id", "mark").distinct())
@@ -141,10 +166,10 @@ def similar_pairs(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str,
     named = cut(_with(members.select("key", "node", "seen"), comp, "node", "comp"))
     groups = cut(named.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n")))
     main = cut(groups.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("m"), F.count(F.lit(1)).alias("k")).where("k > 1").select("key", F.col("m.comp").alias("main")))
-    split = cut(named.join(main, "key"))
+    split = cut(named.join(main, "key").join(rows.select("node", "fine").dropDuplicates(["node"]), "node"))
     rest = cut(split.where("comp <> main"))
     left, right = rest.alias("l"), split.alias("r")
-    cross = left.join(right, F.col("l.key") == F.col("r.key")).where("l.comp <> r.comp").where(_perhaps("l.seen", "r.seen", least))
+    cross = left.join(right, F.col("l.key") == F.col("r.key")).where("l.comp <> r.comp").where(_perhaps("l.seen", "r.seen", least) & _probably("l.fine", "r.fine", least))
     cross = cross.select(F.col("l.node").alias("node"), F.col("r.node").alias("other")).select(*pair).distinct()
     return edges.unionByName(cut(_alike(cross, sets, least)))
 

@@ -1,6 +1,7 @@
 import random
 
 import corpus_pipeline as cp
+import numpy as np
 import pytest
 
 from callweave.llm import nearcopies, simhash
@@ -80,6 +81,19 @@ def test_one_bit_hashes_tell_shared_passages_from_copies():
     assert kept == 150 and left >= 149
 
 
+def test_agreeing_bytes_are_counted(spark):
+    rng = np.random.default_rng(3)
+    a = rng.integers(0, 256, 240, np.uint8)
+    rows, n = [], nearcopies.least_agree(0.8)
+    for agree in (0, n - 1, n, 240):
+        b = a + rng.integers(1, 256, 240, np.uint8)
+        at = rng.permutation(240)[:agree]
+        b[at] = a[at]
+        rows.append((agree, a.view(np.int64).tolist(), b.view(np.int64).tolist()))
+    df = spark.createDataFrame(rows, "n int, x array<long>, y array<long>").where(nearcopies._probably("x", "y", 0.8))
+    assert sorted(r["n"] for r in df.collect()) == [n, 240] and n == 168
+
+
 def test_copies_of_one_id_with_other_texts(spark):
     """Of rows that share an id, a known copy goes and the only copy of another text stays, on any partitioning."""
     a, b = (" ".join(f"{x}{i}" for i in range(60)) for x in "ab")
