@@ -97,23 +97,37 @@ def word_count_routes(spark: SparkSession, sf_dir: str) -> DataFrame:
         "native, no combiner": lambda: mapreduce.word_count(docs, combine=False),
         "native, objects": lambda: mapreduce.word_count(docs, shuffle="objects", parts=8),
         "stateless calls": lambda: mapreduce.word_count_opaque(docs, parts=8),
+        "stateless calls, objects": lambda: mapreduce.word_count_opaque(docs, parts=8, shuffle="objects"),
     }
     _sink(routes["native"]())
     took = {k: min(_timed(lambda: _sink(f())) for _ in range(2)) for k, f in routes.items()}
     return spark.createDataFrame([(k, v, m.slowdown(v, took["native"])) for k, v in took.items()], "route string, seconds double, slowdown double")
 
 
-def sort_sweep(spark: SparkSession, sf_dir: str, parts=(4, 8, 16, 32), rounds=(1, 2)) -> DataFrame:
-    """(parts, rounds, seconds, blocks, kv_requests_most): the range sort over parts and rounds, with the blocks that its shuffle makes."""
+def sort_sweep(spark: SparkSession, sf_dir: str, parts=(4, 8, 16), shards=(1, 4)) -> DataFrame:
+    """(way, parts, shards, seconds, blocks): the range sort, run by each way over parts, and over shards for the key-value tier.
+
+    Blocks of the key-value way are those that it put; of the others, the most that maps times ranges can make.
+    """
     rows, out = load(spark, sf_dir, "lineitem"), []
-    keys = ["l_extendedprice", "l_orderkey", "l_linenumber"]
-    for r in rounds:
-        for p in parts:
-            seconds = _timed(lambda: _sink(rangesort.range_sort(rows, keys, p, rounds=r)))
-            blocks = rangesort.census(rows, F.pmod("l_orderkey", F.lit(p)).cast("int"), F.pmod("l_partkey", F.lit(p)).cast("int"), F.lit(100).cast("long"))
-            most = rangesort.kv_shuffle_load(blocks, 4).agg(F.max("requests")).first()[0]
-            out.append((p, r, seconds, rangesort.shuffle_files(p, r), most))
-    return spark.createDataFrame(out, "parts int, rounds int, seconds double, blocks long, kv_requests_most long")
+    keys, maps = ["l_extendedprice", "l_orderkey", "l_linenumber"], spark.sparkContext.defaultParallelism
+    for p in parts:
+        for way, options in (("native", {}), ("objects", {"shuffle": "objects"}), ("two rounds", {"rounds": 2})):
+            out.append((way, p, 0, _timed(lambda: rangesort.range_sort(rows, keys, p, **options)), rangesort.shuffle_files(p, options.get("rounds", 1)) * maps // p))
+        for s in shards:
+            held = []
+            seconds = _timed(lambda: held.append(rangesort.range_sort(rows, keys, p, shuffle="kv", shards=s)))
+            out.append(("kv", p, s, seconds, held[0].blocks.count()))
+    return spark.createDataFrame(out, "way string, parts int, shards int, seconds double, blocks long")
+
+
+def block_reads(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(mode, seconds) of counting words in text objects that are read in parallel blocks, or by one task each."""
+    path = shared_path(spark)
+    load(spark, sf_dir, "documents").select("text").coalesce(1).write.option("compression", "none").text(path)
+    count = lambda blocks: mapreduce.word_count(mapreduce.read_lines(spark, path, blocks), "line")
+    took = [(mode, min(_timed(lambda: _sink(count(blocks))) for _ in range(2))) for mode, blocks in (("blocks", True), ("whole", False))]
+    return spark.createDataFrame(took, "mode string, seconds double")
 
 
 def training_modes(spark: SparkSession, sf_dir: str, steps: int = 120) -> DataFrame:
@@ -126,7 +140,7 @@ def training_modes(spark: SparkSession, sf_dir: str, steps: int = 120) -> DataFr
         "stale by 2": paramserver.train(gradient, steps, 0.2, 2)[-1],
         "stale by 2, rate too high": paramserver.train(gradient, steps, 0.55, 2)[-1],
         "replayed, 4 workers": paramserver.replay_async(gradient, steps, 4, 0.2)[-1],
-        "lock-free, live": paramserver.train_async(data.limit(4000), "x", "y", passes=4, rate=0.2),
+        "lock-free, live": paramserver.train_async(data, "x", "y", passes=1, batch=4096, rate=0.2),
     }
     return spark.createDataFrame([(k, float(w[0]), float(w[1]), float(np.abs(w - exact).max())) for k, w in ends.items()], "mode string, bias double, slope double, distance double")
 
@@ -140,5 +154,5 @@ def local_against_shared(spark: SparkSession, local: str | None = None) -> DataF
 def run_all(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
     return {
         "compute scaling": compute_scaling(spark), "object store scaling": object_scaling(spark), "key-value scaling": kv_scaling(spark), "local against shared storage": local_against_shared(spark),
-        "featurize, gather, fit": featurize_and_fit(spark, sf_dir), "word count routes": word_count_routes(spark, sf_dir), "sort sweep": sort_sweep(spark, sf_dir), "training modes": training_modes(spark, sf_dir),
+        "featurize, gather, fit": featurize_and_fit(spark, sf_dir), "word count routes": word_count_routes(spark, sf_dir), "sort sweep": sort_sweep(spark, sf_dir), "block reads": block_reads(spark, sf_dir), "training modes": training_modes(spark, sf_dir),
     }

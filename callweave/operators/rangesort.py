@@ -4,10 +4,11 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from callweave.tables import settle, shared_path
+from callweave.tables import bucketed, exists, settle, shared_path, spread
 
 
 def required_tasks(total_bytes: float, task_bytes: float = 400e6) -> int:
@@ -47,23 +48,128 @@ def _place(sorted_df: DataFrame) -> DataFrame:
     return settle(place.drop("__at"))
 
 
-def range_sort(df: DataFrame, keys: list[str], parts: int, rounds: int = 1, shuffle: str = "native") -> DataFrame:
+def sample_bounds(df: DataFrame, keys: list[str], parts: int, oversample: int = 64) -> DataFrame:
+    """One row (bounds): `parts` - 1 key tuples that cut `df` into about equal ranges, stored.
+
+    They come from about `oversample` rows a part, chosen by the hash of their
+    keys, so that a retry samples alike; that sample is sorted in one task.
+    """
+    n, key = df.count(), F.struct(*keys)
+    share = min(1.0, oversample * parts / max(1, n))
+    picked = df.where(F.pmod(F.xxhash64(*keys), F.lit(1 << 30)) < int(share * (1 << 30))) if share < 1 else df
+    kept = picked.agg(F.array_sort(F.collect_list(key)).alias("kept"))
+    at = F.transform(F.sequence(F.lit(1), F.lit(max(1, parts - 1))), lambda i: F.floor(i * F.size("kept") / parts).cast("int"))
+    chosen = F.when((F.size("kept") > 0) & F.lit(parts > 1), F.transform(at, lambda i: F.col("kept")[i])).otherwise(F.slice("kept", 1, 0))
+    return settle(kept.select(chosen.alias("bounds")))
+
+
+def find_range(key: Column, bounds: Column) -> Column:
+    """Number of sorted `bounds` that are at most `key`, by halving."""
+    low, high = F.lit(0), F.size(bounds)
+    steps = F.sequence(F.lit(1), F.ceil(F.log2(F.size(bounds) + 1)).cast("int") + 1)
+
+    def halve(s, _):
+        mid = F.floor((s["low"] + s["high"]) / 2).cast("int")
+        open_, right = s["low"] < s["high"], F.get(bounds, mid) <= key
+        return F.struct(F.when(open_ & right, mid + 1).otherwise(s["low"]).alias("low"), F.when(open_ & ~right, mid).otherwise(s["high"]).alias("high"))
+
+    return F.aggregate(steps, F.struct(low.alias("low"), high.alias("high")), halve)["low"]
+
+
+def range_sort(df: DataFrame, keys: list[str], parts: int, rounds: int = 1, shuffle: str = "native", shards: int = 4) -> DataFrame:
     """`df` with part_id and pos, sorted by `keys` within parts and parts in order of keys.
 
-    One round moves every row once and makes parts**2 blocks. Two rounds move it
-    twice, first to about sqrt(parts) coarse ranges in storage, then within each,
-    for 2 * parts**1.5 blocks. "objects" keeps the intermediate ranges in storage.
-    part_id is written before use, because sampled bounds differ between runs.
+    "native" moves every row once through Spark's shuffle. "objects" has each map
+    task write an object per range, and one task per range read and sort its
+    objects; there is no exchange. "kv" does the same with blocks in a live
+    key-value tier of `shards`. Two rounds write to about sqrt(parts) coarse
+    ranges first and from each of them to its own fine ranges: 2 * parts**1.5
+    objects instead of parts**2, and no task ever holds more than its share of
+    the input or one fine range. part_id is written before use, because sampled
+    bounds differ between runs of the native way.
     """
     if rounds == 1 and shuffle == "native":
         return _place(df.repartitionByRange(parts, *keys).sortWithinPartitions(*keys))
-    coarse = parts if rounds == 1 else max(1, math.isqrt(parts))
-    path = shared_path(df.sparkSession)
-    df.repartitionByRange(coarse, *keys).withColumn("coarse", F.spark_partition_id()).write.partitionBy("coarse").parquet(path)
-    stored = df.sparkSession.read.parquet(path) if not df.isEmpty() else df.withColumn("coarse", F.lit(0))
-    fine = math.ceil(parts / coarse)
-    placed = stored.repartitionByRange(coarse * fine, "coarse", *keys).sortWithinPartitions("coarse", *keys)
-    return _place(placed.select(*df.columns))
+    bounds = sample_bounds(df, keys, parts)
+    tagged = spread(df).crossJoin(F.broadcast(bounds)).withColumn("part_id", find_range(F.struct(*keys), F.col("bounds"))).drop("bounds")  # one row
+    if shuffle == "kv":
+        return sort_through_kv(tagged, keys, parts, shards)
+    if rounds > 1:
+        tagged = _coarse(tagged, parts)
+    with bucketed(tagged, parts, "part_id") as ranges:
+        return settle(sorted_ranges(ranges, keys))
+
+
+def sorted_ranges(ranges: DataFrame, keys: list[str]) -> DataFrame:
+    """Rows of stored ranges with their place: a task's ranges are sorted where they are read."""
+    return ranges.withColumn("pos", (F.row_number().over(Window.partitionBy("part_id").orderBy(*keys)) - 1).cast("long"))
+
+
+def _coarse(tagged: DataFrame, parts: int) -> DataFrame:
+    """The first round: rows stored by coarse range, read back so that a task's rows are of one coarse range."""
+    spark, path, fine = tagged.sparkSession, shared_path(tagged.sparkSession), math.ceil(parts / max(1, math.isqrt(parts)))
+    tagged.withColumn("coarse", F.floor(F.col("part_id") / fine).cast("int")).write.partitionBy("coarse").parquet(path)
+    out = None
+    for c in range(math.ceil(parts / fine)):
+        if not exists(spark, f"{path}/coarse={c}"):
+            continue
+        part = spark.read.schema(tagged.schema).parquet(f"{path}/coarse={c}")
+        out = part if out is None else out.union(part)
+    return tagged if out is None else out
+
+
+def sort_through_kv(tagged: DataFrame, keys: list[str], parts: int, shards: int) -> DataFrame:
+    """Rows tagged with part_id, sorted by way of a live key-value tier: a block for each map task and range.
+
+    A map task that is tried again puts the same blocks again; a reducer gets
+    the blocks of its range from every map task and sorts them. No exchange.
+    """
+    import pyarrow as pa
+    from pyspark import TaskContext
+
+    from callweave.sources.kv_live import KvClient, KvCluster, driver_host
+
+    spark, columns = tagged.sparkSession, tagged.columns
+    cluster = KvCluster(shards, driver_host(spark))
+    addresses = cluster.addresses
+
+    def put(batches):
+        client, task, held = KvClient(addresses), TaskContext.get().partitionId(), [b for b in batches if b.num_rows]
+        if held:
+            table = pa.Table.from_batches(held).sort_by("part_id")
+            ids = table["part_id"].to_numpy()
+            starts = [0, *(np.flatnonzero(np.diff(ids)) + 1).tolist(), len(ids)]
+            for a, b in zip(starts, starts[1:]):
+                block = table.slice(a, b - a).combine_chunks()
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, block.schema) as out:
+                    out.write_table(block)
+                data = sink.getvalue().to_pybytes()
+                client.put((task, int(ids[a])), data)
+                yield pa.RecordBatch.from_pydict({"map_id": pa.array([task], pa.int32()), "reduce_id": pa.array([int(ids[a])], pa.int32()), "rows": [b - a], "bytes": [len(data)]})
+        client.close()
+
+    def take(batches):
+        client = KvClient(addresses)
+        for b in batches:
+            for part, maps in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                blocks = [pa.ipc.open_stream(client.get((m, part))).read_all() for m in sorted(maps)]
+                whole = pa.concat_tables(blocks)
+                order = pa.compute.sort_indices(whole, [(k, "ascending") for k in keys], null_placement="at_start")
+                whole = whole.take(order).select(columns).append_column("pos", pa.array(np.arange(whole.num_rows)))
+                yield from whole.combine_chunks().to_batches()
+        client.close()
+
+    try:
+        blocks = settle(tagged.mapInArrow(put, "map_id int, reduce_id int, rows long, bytes long"))
+        asks = blocks.groupBy("reduce_id").agg(F.collect_list("map_id").alias("maps"))  # a row a range
+        asks = spark.createDataFrame(asks.collect(), "reduce_id int, maps array<int>").repartition(parts)
+        schema = tagged.schema.add("pos", "long")
+        out = settle(asks.mapInArrow(take, schema))
+        out.blocks = blocks
+        return out
+    finally:
+        cluster.close()
 
 
 def with_global_rank(placed: DataFrame, name: str = "rk") -> DataFrame:

@@ -54,12 +54,26 @@ def straggler_flags(t, spark):
     return m.flag_stragglers(as_trace(t("events")), 3.0).select("call_id", "phase")
 
 
-@query("""WITH p AS (SELECT c, sum(value) AS rate FROM events, unnest([10, 25, 50, 75, 100, 125, 150]) u(c) WHERE user_id < c GROUP BY c)
-          SELECT round(regr_slope(rate, c), 4) AS slope, round(regr_r2(rate, c), 6) AS r2 FROM p""")
+SHARES = (0.1, 0.25, 0.5, 0.75, 1.0)
+RATES = """WITH u AS (SELECT dense_rank() OVER (ORDER BY user_id) AS r, value FROM events), m AS (SELECT max(r) AS users FROM u),
+          p AS (SELECT share, max(CAST(ceil(share * users) AS INTEGER)) AS workers, sum(value) AS rate FROM u, m, unnest([0.1e0, 0.25e0, 0.5e0, 0.75e0, 1e0]) s(share) WHERE r <= ceil(share * users) GROUP BY share)"""
+
+
+def _rates_of_workers(t):
+    """(workers, rate): total value of the first tenth, quarter, half, ... of all users, and how many these are."""
+    from pyspark.sql import Window
+
+    each = t("events").groupBy("user_id").agg(F.sum("value").alias("v"))  # a row a user
+    ranked = each.withColumn("r", F.row_number().over(Window.orderBy("user_id")))
+    users = F.broadcast(each.agg(F.count(F.lit(1)).alias("users")))
+    counts = F.transform(F.array(*map(F.lit, SHARES)), lambda s: F.ceil(s * F.col("users")).cast("int"))
+    sums = ranked.crossJoin(users).select("v", "r", F.explode(counts).alias("workers")).where("r <= workers")
+    return sums.groupBy("workers").agg(F.sum("v").alias("rate"))
+
+
+@query(RATES + " SELECT round(regr_slope(rate, workers), 4) AS slope, round(regr_r2(rate, workers), 6) AS r2 FROM p")
 def scaling_linearity(t, spark):
-    counts = F.array(*map(F.lit, (10, 25, 50, 75, 100, 125, 150)))
-    points = t("events").groupBy("user_id").agg(F.sum("value").alias("v")).select("v", F.explode(F.filter(counts, lambda c: F.col("user_id") < c)).alias("c")).groupBy("c").agg(F.sum("v").alias("rate"))
-    return m.linearity(points, "c", "rate").select(F.round("slope", 4).alias("slope"), F.round("r2", 6).alias("r2"))
+    return m.linearity(_rates_of_workers(t), "workers", "rate").select(F.round("slope", 4).alias("slope"), F.round("r2", 6).alias("r2"))
 
 
 @query("""SELECT event_type AS phase, count(*) AS calls, CAST(sum(CAST(ceil(value * 1000 / 100) AS BIGINT)) AS BIGINT) AS steps,
@@ -96,12 +110,9 @@ def predict_cost_regression(t, spark):
     return out.select(F.round(F.col("predicted_ms") / 1000, 2).alias("predicted_s"), F.round(F.col("actual_ms") / 1000, 2).alias("actual_s"))
 
 
-@query("""WITH b AS (SELECT c, sum(value) AS v FROM events, unnest([25, 50, 100]) u(c) WHERE user_id < c GROUP BY c)
-          SELECT CAST(c AS INTEGER) AS workers, round(v / lag(v) OVER (ORDER BY c) - 1, 6) AS change FROM b""")
+@query(RATES + " SELECT workers, round(rate / lag(rate) OVER (ORDER BY workers) - 1, 6) AS change FROM p")
 def speedup_change(t, spark):
-    counts = F.array(*map(F.lit, (25, 50, 100)))
-    b = t("events").select("value", F.explode(F.filter(counts, lambda c: F.col("user_id") < c)).alias("workers")).groupBy("workers").agg(F.sum("value").alias("v"))
-    return m.relative_change(b, "workers", "v").select("workers", F.round("change", 6).alias("change"))
+    return m.relative_change(_rates_of_workers(t), "workers", "rate").select("workers", F.round("change", 6).alias("change"))
 
 
 @query("SELECT event_type AS phase, round(quantile_cont(value * 1000, 0.5), 4) AS p50, round(quantile_cont(value * 1000, 0.9), 4) AS p90, round(quantile_cont(value * 1000, 0.99), 4) AS p99 FROM events GROUP BY 1")
@@ -139,13 +150,18 @@ def published_arithmetic(t, spark):
     """The figures that the reference derives, from this library's own measures."""
     from callweave.operators.rangesort import required_tasks, shuffle_files
 
+    rule = {k: m.balance(F.lit(float(memory)), F.lit(35.0), F.lit(300.0))[k] for k, memory in (("fill_s", 1536), ("compute_s", 1400))}
+    trace = spark.createDataFrame([("launch", 30_000.0), ("work", 270_000.0)], "phase string, duration_ms double")
+    sixteen = spark.range(16).select(F.col("id").alias("worker"), F.lit(30.0).alias("bytes"), F.lit(1000.0).alias("duration_ms"))
+    found = spark.range(1).select(*[v.alias(k) for k, v in rule.items()]).crossJoin(m.overhead_share(trace, ["launch"])).crossJoin(m.throughput(sixteen).select("total_rate")).first()
+
     rows = [
         ("word_count_slowdown_percent", round(100 * m.slowdown(98.6, 84.0), 1)),
         ("intermediate_files_1tb", float(shuffle_files(required_tasks(1e12)))),
-        ("fill_seconds", round(1536 / 35, 1)),
-        ("compute_seconds_of_300", 300.0 - 2 * 40),
-        ("launch_share_percent", 100 * 30 / 300),
-        ("write_mb_s_of_16_calls", 16 * 30.0),
+        ("fill_seconds", round(found["fill_s"], 1)),
+        ("compute_seconds_of_300", round(found["compute_s"], 6)),
+        ("launch_share_percent", round(100 * found["overhead_share"], 6)),
+        ("write_mb_s_of_16_calls", found["total_rate"]),
     ]
     return spark.createDataFrame(rows, "name string, value double")
 

@@ -10,7 +10,7 @@ from callweave.functions import features as feat
 from callweave.learn import linear
 from callweave.operators import bsp, gather, mapreduce, paramserver, rangesort, sweep
 from callweave.plans.registry import query
-from callweave.tables import settle, spread
+from callweave.tables import settle, shared_path, spread
 
 LAMBDAS = (0.0, 1.0, 10.0, 100.0, 1000.0)
 RIDGE_SQL = """WITH s AS (SELECT l_returnflag, count(*) AS n, sum(x * x) AS xx, sum(x * y) AS xy, sum(y * y) AS yy FROM (SELECT l_returnflag, l_quantity / 50 AS x, l_extendedprice / 100000 AS y FROM lineitem) GROUP BY 1),
@@ -208,6 +208,12 @@ def word_count_objects(t, spark):
     return mapreduce.word_count(t("documents"), shuffle="objects", parts=8)
 
 
+@query(COUNT)
+def word_count_opaque_objects(t, spark):
+    """Stateless calls with their shuffle by stored objects."""
+    return mapreduce.word_count_opaque(t("documents"), shuffle="objects")
+
+
 @query(COUNT)
 def word_count_opaque(t, spark):
     return mapreduce.word_count_opaque(t("documents"))
@@ -234,9 +240,20 @@ def mapreduce_opaque(t, spark):
     return mapreduce.map_reduce(t("part").select("p_brand", "p_size"), lambda r: [(r["p_brand"], r["p_size"])], lambda k, v: max(v) - min(v), "string", "long", "long", parts=8)
 
 
-@query("SELECT word, string_agg(item_id, ',' ORDER BY item_id) AS ids FROM (SELECT DISTINCT item_id, unnest(list_filter(string_split_regex(lower(text), '\\s+'), lambda x: x <> '')) AS word FROM benchmark) GROUP BY word")
+@query("SELECT word, CAST(item_id // 64 AS BIGINT) AS block, string_agg(item_id, ',' ORDER BY item_id) AS ids FROM (SELECT DISTINCT item_id, unnest(list_filter(string_split_regex(lower(text), '\\s+'), lambda x: x <> '')) AS word FROM benchmark) GROUP BY ALL")
 def mapreduce_inverted_index(t, spark):
-    return mapreduce.inverted_index(t("benchmark"), "item_id", "text")
+    """Postings in blocks of 64 ids: no row grows with the frequency of its word."""
+    rows = mapreduce.postings(t("benchmark"), "item_id", "text", 64)
+    return rows.select("word", "block", F.array_join(F.transform("ids", lambda i: i.cast("string")), ",").alias("ids"))
+
+
+@query("SELECT mode, count(*) AS n, CAST(sum(length(line)) AS BIGINT) AS chars FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM documents), (VALUES ('blocks'), ('whole')) v(mode) GROUP BY mode")
+def read_blocks_or_whole(t, spark):
+    """The same text objects by parallel block reads and by one read each; experiments time them."""
+    path = shared_path(spark)
+    t("documents").select("text").coalesce(1).write.option("compression", "none").text(path)
+    each = [mapreduce.read_lines(spark, path, blocks).select(F.lit(mode).alias("mode"), "line") for mode, blocks in (("blocks", True), ("whole", False))]
+    return each[0].union(each[1]).groupBy("mode").agg(F.count(F.lit(1)).alias("n"), F.sum(F.length("line")).alias("chars"))
 
 
 @query("""WITH RECURSIVE e AS (SELECT DISTINCT 2 * o_custkey AS a, 2 * o_orderkey + 1 AS b FROM orders),
@@ -283,6 +300,12 @@ def range_sort_objects(t, spark):
     return rangesort.with_global_rank(placed).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
 
 
+@query(RANKED)
+def range_sort_kv(t, spark):
+    placed = rangesort.range_sort(t("lineitem"), LINE_KEYS, 6, shuffle="kv")
+    return rangesort.with_global_rank(placed).select("rk", "l_orderkey", "l_linenumber", "l_extendedprice")
+
+
 @query("SELECT row_number() OVER (ORDER BY text, doc_id) AS rk, doc_id FROM documents")
 def range_sort_text(t, spark):
     placed = rangesort.range_sort(t("documents").select("text", "doc_id"), ["text", "doc_id"], 8)
@@ -299,9 +322,8 @@ def sort_partition_census(t, spark):
 
 @query("SELECT CAST(i AS INTEGER) AS bound, round(quantile_cont(l_extendedprice, i / 8), 4) AS price FROM lineitem, range(1, 8) t(i) GROUP BY i".replace("quantile_cont(l_extendedprice, i / 8)", "list_extract(quantile_cont(l_extendedprice, [0.125, 0.25, 0.375, 0.5, 0.625, 0.75, 0.875]), CAST(i AS INTEGER))"))
 def sort_splitters_exact(t, spark):
-    shares = F.array(*[F.lit(i / 8) for i in range(1, 8)])
-    out = t("lineitem").agg(F.percentile("l_extendedprice", shares).alias("p")).select(F.posexplode("p").alias("at", "price"))
-    return out.select((F.col("at") + 1).cast("int").alias("bound"), F.round("price", 4).alias("price"))
+    found = rangesort.choose_splitters(t("lineitem"), "l_extendedprice", 8, exact=True)
+    return spark.createDataFrame([(i + 1, float(v)) for i, v in enumerate(found)], "bound int, price double").withColumn("price", F.round("price", 4))
 
 
 @query("SELECT count(*) AS n, CAST(0 AS BIGINT) AS within, CAST(0 AS BIGINT) AS between_parts, true AS same_rows FROM lineitem")

@@ -10,7 +10,7 @@ from callweave.sources.kv_live import KvClient
 
 
 class KvSource(DataSource):
-    """Option `addresses`: JSON list of [host, port], a shard each. Values are read and written as strings."""
+    """Option `addresses`: JSON list of [host, port, secret], a shard each. Values are read and written as strings."""
 
     @classmethod
     def name(cls):

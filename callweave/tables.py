@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -24,7 +25,43 @@ def settle(df: DataFrame) -> DataFrame:
     """Write to the shared folder and read back: later readers neither repeat the work nor see it differ."""
     path = shared_path(df.sparkSession)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    back = df.sparkSession.read.schema(df.schema).parquet(path)
+    back._shared_path = path
+    return back
+
+
+def forget(df: DataFrame) -> None:
+    """Delete what settle() stored, once no frame reads it any more."""
+    path = getattr(df, "_shared_path", None)
+    if path:
+        delete(df.sparkSession, path)
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at)
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+@contextmanager
+def bucketed(df: DataFrame, parts: int, *keys: str):
+    """`df` written by each of its tasks as an object for every bucket of `keys`, and read back a bucket to a task.
+
+    This is a shuffle by storage: M tasks leave up to M * parts objects, and an
+    aggregate or window by `keys` over what is read needs no exchange. Objects
+    and their table end with the block.
+    """
+    spark, path, name = df.sparkSession, shared_path(df.sparkSession), f"cw_{uuid.uuid4().hex}"
+    df.write.format("parquet").bucketBy(parts, *keys).option("path", path).saveAsTable(name)
+    try:
+        yield spark.table(name)
+    finally:
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+        delete(spark, path)
 
 
 def spread(df: DataFrame, *keys: str) -> DataFrame:
