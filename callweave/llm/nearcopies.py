@@ -169,7 +169,7 @@ def similar_pairs(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str,
     split = cut(named.join(main, "key").join(rows.select("node", "fine", "bands").dropDuplicates(["node"]), "node"))
     rest = cut(split.where("comp <> main"))
     left, right = rest.alias("l"), split.alias("r")
-    cross = left.join(right, F.col("l.key") == F.col("r.key")).where("l.comp <> r.comp").where(_perhaps("l.seen", "r.seen", least) & _probably("l.fine", "r.fine", least))
+    cross = left.join(right, F.col("l.key") == F.col("r.key")).where("l.comp <> r.comp and (r.comp = r.main or l.node < r.node)").where(_perhaps("l.seen", "r.seen", least) & _probably("l.fine", "r.fine", least))
     cross = cross.where(F.array_intersect("l.bands", "r.bands")[0] == F.col("l.key"))  # a pair of many bands in the first only
     cross = cross.select(F.col("l.node").alias("node"), F.col("r.node").alias("other")).select(*pair).distinct()
     return edges.unionByName(cut(_alike(cross, sets, least)))
