@@ -70,11 +70,12 @@ def _secret_sql() -> str:
     each = " UNION ALL ".join(f"SELECT doc_id, source, text, '{k}' AS kind, unnest(regexp_extract_all(text, '{quote(p)}', 0)) AS hit FROM documents" for k, p in secrets.PATTERNS.items())
     forest = secrets.grow_forest(secrets.labelled_findings())
     features = ", ".join(f"{sql} AS {name}" for name, sql in secrets.duck_features().items())
+    cands = " ".join(f"WHEN '{k}' THEN regexp_replace(hit, '{quote(p)}', '', 'g')" for k, p in secrets.AROUND.items())
+    chars = secrets.CONTEXT_CHARS
     return f"""
         WITH hits AS (SELECT doc_id, source, text, kind, hit, count(*) AS n FROM ({each}) GROUP BY ALL),
-        cands AS (SELECT *, CASE WHEN kind = 'assigned' THEN regexp_replace(hit, '^\\w+\\s{{0,3}}[:=]\\s{{0,3}}["'']?', '') ELSE hit END AS cand FROM hits),
-        placed AS (SELECT *, instr(text, hit) + length(hit) - length(cand) AS start FROM cands),
-        near AS (SELECT *, substring(text, greatest(start - {secrets.CONTEXT_CHARS}, 1), least({secrets.CONTEXT_CHARS}, start - 1)) AS before FROM placed),
+        cands AS (SELECT *, CASE kind {cands} ELSE hit END AS cand, string_split(text, hit) AS parts FROM hits),
+        near AS (SELECT *, array_to_string([right(p, {chars}) for p in parts[:len(parts) - 1]] || [CASE WHEN kind = 'assigned' THEN left(hit, length(hit) - length(cand)) ELSE '' END] || [left(p, {chars}) for p in parts[2:]], ' ') AS before FROM cands),
         feats AS (SELECT doc_id, kind, cand, n, {features} FROM near),
         scored AS (SELECT doc_id, kind, cand, n, CASE WHEN kind = 'private_key' THEN 1000 ELSE ({secrets.forest_sql(forest)}) // {len(forest)} END AS score FROM feats)
         SELECT doc_id, kind, cand, CAST(n AS INTEGER) AS n, CAST(score AS INTEGER) AS score, score >= 500 AS is_secret FROM scored"""
