@@ -8,13 +8,15 @@ from decimal import Decimal
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from callweave.measures.quantiles import exact_quantiles
+
 
 def phase_summary(trace: DataFrame, digits: int = 4) -> DataFrame:
     """Count, mean, sample standard deviation and 95th percentile of each phase's time."""
     d = F.col("duration_ms")
-    return trace.groupBy("phase").agg(
-        F.count(F.lit(1)).alias("n"), F.round(F.avg(d), digits).alias("mean_ms"), F.round(F.stddev_samp(d), digits).alias("std_ms"), F.round(F.percentile(d, 0.95), digits).alias("p95_ms")
-    )
+    p95 = exact_quantiles(trace, "phase", "duration_ms", {"p95_ms": 0.95}).withColumnRenamed("phase", "k")
+    each = trace.groupBy("phase").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg(d), digits).alias("mean_ms"), F.round(F.stddev_samp(d), digits).alias("std_ms"))
+    return each.join(F.broadcast(p95), F.col("phase").eqNullSafe(F.col("k")), "left").select(*each.columns, F.round("p95_ms", digits).alias("p95_ms"))
 
 
 def makespan(trace: DataFrame) -> DataFrame:
@@ -64,7 +66,7 @@ def concurrency(trace: DataFrame) -> DataFrame:
 
 
 def latency_quantiles(trace: DataFrame, shares=(0.5, 0.9, 0.99)) -> DataFrame:
-    return trace.groupBy("phase").agg(*[F.percentile("duration_ms", s).alias(f"p{round(s * 100)}") for s in shares])
+    return exact_quantiles(trace, "phase", "duration_ms", {f"p{round(s * 100)}": s for s in shares})
 
 
 def time_breakdown(trace: DataFrame) -> DataFrame:
@@ -80,7 +82,7 @@ def overhead_share(trace: DataFrame, overhead: list[str]) -> DataFrame:
 
 def flag_stragglers(trace: DataFrame, ratio: float = 1.5) -> DataFrame:
     """Calls that took over `ratio` times their phase's median (one row a phase is broadcast)."""
-    medians = trace.groupBy("phase").agg(F.percentile("duration_ms", 0.5).alias("median_ms"))
+    medians = exact_quantiles(trace, "phase", "duration_ms", {"median_ms": 0.5})
     return trace.join(F.broadcast(medians), "phase").where(F.col("duration_ms") > ratio * F.col("median_ms"))
 
 
