@@ -5,12 +5,13 @@ from __future__ import annotations
 from collections.abc import Callable
 from contextlib import contextmanager
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from callweave.tables import shared_path
+from callweave.tables import exists, shared_path
 
 
 def replay(df: DataFrame, files: int, order: str, path: str | None = None, one_per_batch: bool = True) -> DataFrame:
@@ -124,16 +125,28 @@ def on_arrival(stream: DataFrame, fn: Callable[[DataFrame], DataFrame], path: st
     run_to_end(stream.sparkSession, stream.writeStream.foreachBatch(store).option("checkpointLocation", checkpoint))
 
 
-def stream_training(stream: DataFrame, x: str, y: str, rate: float, start=(0.0, 0.0)) -> list[tuple[float, float]]:
-    """Versions of a linear model whose gradients arrive as a stream: one update a micro-batch."""
+def stream_training(stream: DataFrame, x: str | list[str], y: str, rate: float, model: str, log: str, start=None) -> DataFrame:
+    """(version, idx, weight) of a linear model, bias first, whose rows arrive as a stream: one update a micro-batch.
+
+    Micro-batch n reads version n of the folder `model` and overwrites version
+    n + 1, so a batch that runs again after a crash changes nothing, and a
+    restart with the same `log` goes on from the stored version. A batch without
+    rows repeats its version.
+    """
     from callweave.operators.paramserver import gradient_step
 
-    versions = [tuple(start)]
+    spark, size = stream.sparkSession, 2 if isinstance(x, str) else len(x) + 1
+    schema = "version long, idx int, weight double"
+
+    def store(version, weights):
+        rows = [(version, i, float(w)) for i, w in enumerate(weights)]
+        spark.createDataFrame(rows, schema).coalesce(1).write.mode("overwrite").parquet(f"{model}/{version:012d}")
 
-    def update(batch, _):
-        if not batch.isEmpty():
-            g = gradient_step(batch, x, y, versions[-1])
-            versions.append((versions[-1][0] - rate * g[0], versions[-1][1] - rate * g[1]))
+    def update(batch, number):
+        w = np.array([r["weight"] for r in spark.read.schema(schema).parquet(f"{model}/{number:012d}").orderBy("idx").collect()])
+        store(number + 1, w - rate * gradient_step(batch, x, y, w))
 
-    run_to_end(stream.sparkSession, stream.writeStream.foreachBatch(update).option("checkpointLocation", shared_path(stream.sparkSession)))
-    return versions
+    if not exists(spark, f"{model}/{0:012d}/_SUCCESS"):
+        store(0, np.zeros(size) if start is None else start)
+    run_to_end(spark, stream.writeStream.foreachBatch(update).option("checkpointLocation", log))
+    return spark.read.schema(schema).parquet(f"{model}/*")

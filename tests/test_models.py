@@ -219,6 +219,28 @@ def test_parameter_server(spark):
     assert paramserver.model_frame(spark, [1, 2, 3], 2, 7).where("shard = 0").count() == 2
 
 
+def test_live_parameter_server(spark):
+    third = F.when(F.col("id") % 3 == 0, 1.0).otherwise(0.0)
+    df = spark.range(600).select((F.col("id") / 600).alias("x"), third.alias("z")).withColumn("y", 2 * F.col("x") - F.col("z") + 1)
+    data = df.toPandas().to_numpy()
+    rows = np.c_[np.ones(600), data[:, :2]]
+    a, b = rows.T @ rows / 600, rows.T @ data[:, 2] / 600
+    for tau, shards in ((0, 1), (2, 3)):
+        live = paramserver.train_server(df, ["x", "z"], "y", steps=40, rate=0.3, staleness=tau, shards=shards, workers=3)
+        plain = paramserver.train(lambda w: a @ w - b, 40, 0.3, tau, start=(0, 0, 0))
+        assert live.shape == (41, 3) and np.allclose(live, plain, atol=1e-9)
+        last = paramserver.train_server(df, ["x", "z"], "y", steps=40, rate=0.3, staleness=tau, shards=shards, workers=3, history=False)
+        assert np.allclose(last, plain[-1:], atol=1e-9)
+    assert np.allclose(paramserver.gradient_step(df, ["x", "z"], "y", [0.3, 0.7, 0.1]), a @ [0.3, 0.7, 0.1] - b)
+    odd = df.unionByName(spark.createDataFrame([(None, 1.0, 5.0), (1.0, 1.0, None)], "x double, z double, y double"))
+    assert np.allclose(paramserver.train_server(odd, ["x", "z"], "y", steps=5, rate=0.3)[-1], paramserver.train(lambda w: a @ w - b, 5, 0.3, start=(0, 0, 0))[-1])
+    assert np.array_equal(paramserver.train_server(df.limit(0), "x", "y", steps=3, rate=0.3, start=[1, 2]), [[1, 2]] * 4)
+    with pytest.raises(Exception, match="exceed 100 bytes"):
+        paramserver.train_server(df, "x", "y", steps=1, rate=0.3, worker_bytes=100)
+    found = paramserver.train_async(df, ["x", "z"], "y", passes=150, batch=32, rate=0.3, shards=3)
+    assert np.abs(found - [1, 2, -1]).max() < 0.01
+
+
 def test_stages(spark):
     levels = stages.plan_stages({"c": ["a", "b"], "b": ["a"], "d": ["c"]})
     assert levels == [["a"], ["b"], ["c"], ["d"]]
