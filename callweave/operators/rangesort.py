@@ -8,6 +8,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from callweave.measures.quantiles import exact_quantiles
 from callweave.tables import bucketed, exists, settle, shared_path, spread
 
 
@@ -17,12 +18,16 @@ def required_tasks(total_bytes: float, task_bytes: float = 400e6) -> int:
 
 
 def choose_splitters(df: DataFrame, key: str, parts: int, share: float = 1.0, exact: bool = False) -> list:
-    """`parts` - 1 bounds of equal shares; sampled by the hash of the row's content, so that a retry samples alike."""
+    """`parts` - 1 bounds of equal shares; sampled by the hash of the row's content, so that a retry samples alike.
+
+    Exact ones are for numbers; no task holds all values for them.
+    """
     shares = [i / parts for i in range(1, parts)]
     if not shares:
         return []
     if exact:
-        return df.agg(F.percentile(key, F.array(*map(F.lit, shares)))).first()[0]
+        found = exact_quantiles(df.select(F.lit(0).alias("__all"), F.col(key).alias("__key")), "__all", "__key", {f"q{i}": s for i, s in enumerate(shares)}).first()
+        return [found[f"q{i}"] for i in range(len(shares))] if found else []
     if share < 1:
         df = df.where(F.pmod(F.xxhash64(*df.columns), F.lit(1_000_000)) < int(share * 1_000_000))
     return df.agg(F.percentile_approx(key, shares, 10_000)).first()[0]

@@ -87,16 +87,30 @@ def ledger_missing(t, spark):
     return missing_calls(t("orders").select(F.col("o_orderkey").alias("call_id")), done)
 
 
-@query("""SELECT event_id AS call_id, CASE WHEN value > 300 THEN 'timed_out' WHEN user_id * 12 > 1536 THEN 'over_memory' WHEN length(props) * 50 > 512 THEN 'over_scratch' ELSE 'ok' END AS verdict FROM events""")
+@query("""SELECT user_id AS call_id, CASE WHEN n % 41 = 3 THEN 'timed_out' WHEN n % 7 = 5 THEN 'over_memory' WHEN n % 5 = 2 THEN 'over_scratch' WHEN n % 11 = 0 THEN 'failed' ELSE 'ok' END AS verdict
+          FROM (SELECT user_id, count(*) AS n FROM events GROUP BY 1)""")
 def call_limit_verdicts(t, spark):
+    """A call a user, which by its number of events sleeps, allocates, fills its scratch folder or fails; the worker's limits judge it."""
     from callweave.calls.spec import CallLimits
 
-    cap = CallLimits()
-    verdict = (
-        F.when(F.col("value") > cap.seconds, "timed_out").when(F.col("user_id") * 12 > cap.memory_mb, "over_memory")
-        .when(F.length("props") * 50 > cap.scratch_mb, "over_scratch").otherwise("ok")
-    )
-    return t("events").select(F.col("event_id").alias("call_id"), verdict.alias("verdict"))
+    def strain(n):
+        import os
+        import time
+
+        if n % 41 == 3:
+            time.sleep(60)
+        if n % 7 == 5:
+            return len(bytearray(2_000_000_000))
+        if n % 5 == 2:
+            with open(os.path.join(os.environ["CALL_SCRATCH"], "spill"), "wb") as f:
+                f.truncate(20_000_000)
+        elif n % 11 == 0:
+            raise ValueError("bad input")
+        return n
+
+    calls = t("events").groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+    limits = CallLimits(seconds=2, memory_mb=1000, scratch_mb=10)
+    return run_map_table(calls, strain, ["n"], "long", "user_id", slots=8, clock=False, limits=limits).select("call_id", F.col("status").alias("verdict"))
 
 
 @query("SELECT CAST(user_id AS VARCHAR) AS key, rpad(max_by(props, event_id), 128, '.') AS value, max(event_id) AS version FROM events GROUP BY user_id")
