@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 
 def exact_quantiles(df: DataFrame, by: str, value: str, shares: dict[str, float], width: float = 1e-4, accuracy: int = 100_000) -> DataFrame:
-    """One row a group: `by`, and a column per share with its quantile, interpolated between neighbours as F.percentile does.
+    """One row a group: `by`, and a column per share with its quantile, interpolated between neighbours by their weights.
 
     A sketch brackets each quantile, rows are counted between the brackets, and
     only those in the interval that holds a wanted rank are sorted: some two
@@ -36,6 +36,6 @@ def exact_quantiles(df: DataFrame, by: str, value: str, shares: dict[str, float]
     out = []
     for name, h in ranks.items():
         low, part = holds(F.floor(h)), F.max(h - F.floor(h))
-        out.append((low + (holds(F.ceil(h)) - low) * part).alias(name))
+        out.append(F.when(part == 0, low).otherwise(low * (1 - part) + holds(F.ceil(h)) * part).alias(name))  # by weights, as SQL's quantile_cont does
     found = kept.groupBy(F.col("g").alias("k")).agg(*out)
     return sketch.join(F.broadcast(found), F.col("g").eqNullSafe(F.col("k")), "left").select(F.col("g").alias(by), *shares)
