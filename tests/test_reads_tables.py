@@ -11,6 +11,7 @@ from tests.helpers import plain, same_rows
 MORE = DATA.replace("0.001", "0.01")
 QUERIES = [
     "balance_rule",
+    "elastic_makespan",
 ]
 
 
