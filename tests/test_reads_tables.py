@@ -12,6 +12,7 @@ MORE = DATA.replace("0.001", "0.01")
 QUERIES = [
     "balance_rule",
     "elastic_makespan",
+    "join_cross_grid",
 ]
 
 
