@@ -13,6 +13,7 @@ QUERIES = [
     "balance_rule",
     "elastic_makespan",
     "join_cross_grid",
+    "premium_break_even",
 ]
 
 
