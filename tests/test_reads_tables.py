@@ -14,6 +14,7 @@ QUERIES = [
     "elastic_makespan",
     "join_cross_grid",
     "premium_break_even",
+    "published_arithmetic",
 ]
 
 
