@@ -15,6 +15,7 @@ QUERIES = [
     "join_cross_grid",
     "premium_break_even",
     "published_arithmetic",
+    "scan_range",
 ]
 
 
