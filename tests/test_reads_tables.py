@@ -16,6 +16,7 @@ QUERIES = [
     "premium_break_even",
     "published_arithmetic",
     "scan_range",
+    "shuffle_growth_model",
 ]
 
 
