@@ -17,6 +17,7 @@ QUERIES = [
     "published_arithmetic",
     "scan_range",
     "shuffle_growth_model",
+    "shuffle_medium_model",
 ]
 
 
