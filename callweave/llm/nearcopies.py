@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 from callweave.llm.common import Masked, cut, forget
 from callweave.llm.components import components
 from callweave.llm.simhash import fingerprint, near_pairs
-from callweave.tables import spread
+from callweave.tables import bucketed, spread
 
 SHINGLE, LEAST = 5, 0.8
 BANDS, ROWS, FIRST_BANDS = 40, 6, 4
@@ -140,39 +140,80 @@ def _probably(x: str, y: str, least: float):
     return F.aggregate(F.zip_with(x, y, differ), F.lit(0), lambda t, v: t + v) <= BANDS * ROWS - least_agree(least)
 
 
+MAP_BITS = 1 << 23
+
+
+def _bit(mark):
+    """Word and bit of a mark in a map of MAP_BITS."""
+    at = F.pmod(mark, F.lit(MAP_BITS))
+    return F.shiftright(at, 6), F.call_function("shiftleft", F.lit(1).cast("long"), at.bitwiseAND(F.lit(63)).cast("int"))
+
+
+def _bitmap(rows: DataFrame) -> DataFrame:
+    """(word, bits) of all marks of `rows`, stored: 131,072 rows at most, however many marks there are."""
+    word, bit = _bit(F.col("mark"))
+    return cut(rows.groupBy(word.alias("__word")).agg(F.bit_or(bit).alias("__bits")))
+
+
+def _maybe(df: DataFrame, bitmap: DataFrame, mark, there: bool = True) -> DataFrame:
+    """Rows of `df` whose mark may be in a bitmap, or those whose mark surely isn't, without moving them; an exact join follows the former."""
+    word, bit = _bit(mark)
+    hit = F.coalesce(F.col("__bits"), F.lit(0).cast("long")).bitwiseAND(bit) != 0
+    return df.join(F.broadcast(bitmap), word == F.col("__word"), "left").where(hit if there else ~hit).drop("__word", "__bits")
+
+
 def similar_pairs(docs: DataFrame, rows: DataFrame, id_col: str, text_col: str, shingle: int = SHINGLE, least: float = LEAST) -> DataFrame:
     """Edges (a, b) between nodes that connect all nodes of that similarity; `rows` are the stored sketches of `docs`."""
-    nodes = rows.where("size > 0").dropDuplicates(["node"]).select("node", F.struct("size", "sig").alias("seen"), "doc_id", "mark", F.posexplode("bands").alias("band", "key"))
-    keyed = cut(nodes)
+    nodes = cut(rows.where("size > 0").dropDuplicates(["node"]).select("node", "doc_id", "mark", F.struct("size", "sig").alias("seen"), "bands"))
+    keyed = cut(nodes.select("node", F.posexplode("bands").alias("band", "key")))
     shared = cut(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
-    meets = cut(keyed.select("node", "key").join(shared, "key").groupBy("node").agg(F.sum("n").alias("meets")))
-    order = F.struct("meets", F.col("node").alias("pivot"), F.col("seen").alias("pseen"))
-    pivots = cut(keyed.join(shared, "key").join(meets, "node").groupBy("key").agg(F.max(order).alias("p")).select("key", "p.pivot", "p.pseen"))
-    members = cut(keyed.join(pivots, "key"))
-    forget(keyed)
-    wanted = cut(members.select("node", "doc_id", "mark").distinct())
+    met = cut(keyed.join(shared, "key"))  # from here on only buckets of several nodes move
+    meets = cut(met.groupBy("node").agg(F.sum("n").alias("meets")))
+    order = F.struct("meets", F.col("node").alias("pivot"))
+    pivots = cut(met.join(meets, "node").groupBy("key").agg(F.max(order).alias("p")).select("key", "p.pivot"))
+    members = cut(met.select("node", "band", "key").join(pivots, "key"))
+    known = cut(nodes.join(meets.select("node"), "node", "left_semi").drop("bands"))
+    for old in (nodes, keyed, shared, met, meets, pivots):
+        forget(old)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("mark"), F.col(text_col).cast("string").alias("text"))
-    sets = cut(_sets(texts.join(wanted, ["doc_id", "mark"]).dropDuplicates(["node"]).select("node", "text"), shingle))
-
-    edges = comp = None
+    texts = _maybe(texts, _bitmap(known), F.col("mark"))
+    wanted = texts.join(known.select("doc_id", "mark", "node"), ["doc_id", "mark"]).dropDuplicates(["doc_id", "mark"])  # a node has one of these
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     pair = [F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")]
-    for bands in (FIRST_BANDS, BANDS):
-        star = members.where(F.col("band") < bands).where("node <> pivot").where(_perhaps("seen", "pseen", least))
-        star = star.select("node", F.col("pivot").alias("other")).select(*pair).distinct()
-        found = cut(_alike(_apart(star, comp), sets, least))
-        edges = found if edges is None else edges.unionByName(found)
-        comp = cut(components(edges))
-
-    named = cut(_with(members.select("key", "node", "seen"), comp, "node", "comp"))
-    groups = cut(named.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n")))
-    main = cut(groups.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("m"), F.count(F.lit(1)).alias("k")).where("k > 1").select("key", F.col("m.comp").alias("main")))
-    split = cut(named.join(main, "key").join(rows.select("node", "fine", "bands").dropDuplicates(["node"]), "node"))
-    rest = cut(split.where("comp <> main"))
-    left, right = rest.alias("l"), split.alias("r")
-    cross = left.join(right, F.col("l.key") == F.col("r.key")).where("l.comp <> r.comp and (r.comp = r.main or l.node < r.node)").where(_perhaps("l.seen", "r.seen", least) & _probably("l.fine", "r.fine", least))
-    cross = cross.where(F.array_intersect("l.bands", "r.bands")[0] == F.col("l.key"))  # a pair of many bands in the first only
-    cross = cross.select(F.col("l.node").alias("node"), F.col("r.node").alias("other")).select(*pair).distinct()
-    return edges.unionByName(cut(_alike(cross, sets, least)))
+
+    with bucketed(_sets(wanted.select("node", "text"), shingle).repartition(parts, "node"), parts, "node") as sets:  # moved once, for all joins
+        edges = comp = None
+        for bands in (FIRST_BANDS, BANDS):
+            star = members.where(F.col("band") < bands).where("node <> pivot").select("node", F.col("pivot").alias("other")).select(*pair).distinct()
+            star = cut(_seen(_apart(star, comp), known, least))
+            found = cut(_alike(star, sets, least))
+            forget(star)
+            edges = found if edges is None else edges.unionByName(found)
+            comp = cut(components(edges))
+
+        named = cut(_with(members.select("key", "node"), comp, "node", "comp"))
+        forget(members)
+        groups = cut(named.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n")))
+        main = cut(groups.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("m"), F.count(F.lit(1)).alias("k")).where("k > 1").select("key", F.col("m.comp").alias("main")))
+        split = cut(named.join(main, "key"))
+        for old in (named, groups, main):
+            forget(old)
+        inside = cut(split.select("node").distinct())
+        fine = cut(rows.select("node", "fine", "bands").join(inside, "node", "left_semi").dropDuplicates(["node"]).join(known.select("node", "seen"), "node"))
+        left, right = split.where("comp <> main").join(fine, "node").alias("l"), split.join(fine, "node").alias("r")
+        cross = left.join(right, F.col("l.key") == F.col("r.key")).where("l.comp <> r.comp and (r.comp = r.main or l.node < r.node)").where(_perhaps("l.seen", "r.seen", least) & _probably("l.fine", "r.fine", least))
+        cross = cross.where(F.array_intersect("l.bands", "r.bands")[0] == F.col("l.key"))  # a pair of many bands in the first only
+        cross = cut(cross.select(F.col("l.node").alias("node"), F.col("r.node").alias("other")).select(*pair).distinct())
+        last = cut(_alike(cross, sets, least))
+    for old in (known, split, inside, fine, cross):
+        forget(old)
+    return edges.unionByName(last)
+
+
+def _seen(pairs: DataFrame, known: DataFrame, least: float) -> DataFrame:
+    """Those of the pairs (a, b) that may be that similar by the sizes and one-bit min-hashes of `known`."""
+    one = lambda c: known.select(F.col("node").alias(c), F.col("seen").alias(f"s{c}"))
+    return pairs.join(one("a"), "a").join(one("b"), "b").where(_perhaps("sa", "sb", least)).select("a", "b")
 
 
 def _with(rows: DataFrame, comp: DataFrame | None, node: str, name: str) -> DataFrame:
@@ -201,8 +242,11 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     comp = cut(components(edges))
     kept = _with(first, comp, "node", "comp").groupBy("comp").agg(F.min("first").alias("f"))
     kept = cut(kept.select(F.col("f.doc_id").alias("keep"), F.col("f.mark").alias("mark")))
+    once = rows.groupBy("doc_id", "mark").agg(F.count(F.lit(1)).alias("n")).join(kept.withColumnRenamed("keep", "doc_id").withColumn("__kept", F.lit(True)), ["doc_id", "mark"], "left")
+    doubtful = _bitmap(once.where("n > 1 or __kept is null"))  # rows that go, and those of which one stays
     m = Masked(docs)
-    same_text = F.xxhash64(m.name(text_col))
-    named = m.df.join(kept, (m.col(id_col) == F.col("keep")) & (same_text == F.col("mark")), "left_semi")
+    same_text, some = F.xxhash64(m.name(text_col)), m.df.where(m.col(id_col).isNotNull())
+    clear = _maybe(some, doubtful, same_text, there=False)  # texts that surely stay never move
+    named = _maybe(some, doubtful, same_text).join(kept, (m.col(id_col) == F.col("keep")) & (same_text == F.col("mark")), "left_semi")
     named = named.withColumn("mark", same_text).dropDuplicates([m.name(id_col), "mark"]).drop("mark")
-    return named.union(m.df.where(m.col(id_col).isNull())).select(m.back())
+    return clear.union(named).union(m.df.where(m.col(id_col).isNull())).select(m.back())

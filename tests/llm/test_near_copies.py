@@ -3,6 +3,7 @@ import random
 import corpus_pipeline as cp
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from callweave.llm import nearcopies, simhash
 from callweave.llm.common import table
@@ -116,3 +117,21 @@ def test_near_copies_odd_rows(spark):
     kept = nearcopies.drop_near_copies(docs)
     assert sorted(str(r["doc_id"]) for r in kept.collect()) == ["1", "5", "6", "8", "None"] and kept.columns == docs.columns
     assert nearcopies.drop_near_copies(docs_of(spark, [])).count() == 0
+
+
+def test_texts_that_stay_are_not_moved(spark):
+    """Only documents that go, or repeat, meet in an exchange; the map of marks is bounded, and full it costs moves, not rows."""
+    r = random.Random(9)
+    plain = [(i, " ".join(f"{r.random()}" for _ in range(40)), "s") for i in range(300)]
+    docs = docs_of(spark, plain + [(1000 + i, plain[i][1], "s") for i in range(20)] + [plain[50], plain[50]])
+    rows = nearcopies.cut(docs.select("doc_id", F.xxhash64("text").alias("mark"), "text"))
+    bitmap = nearcopies._bitmap(rows.where("doc_id >= 1000"))
+    there, away = (nearcopies._maybe(rows, bitmap, F.col("mark"), t) for t in (True, False))
+    assert there.count() == 40 and away.count() == 282 and "Exchange hash" not in away._jdf.queryExecution().executedPlan().toString()
+    kept = nearcopies.drop_near_copies(docs)
+    assert sorted(x["doc_id"] for x in kept.collect()) == list(range(300))
+    full, nearcopies.MAP_BITS = nearcopies.MAP_BITS, 64
+    try:
+        assert sorted(x["doc_id"] for x in nearcopies.drop_near_copies(docs).collect()) == list(range(300))
+    finally:
+        nearcopies.MAP_BITS = full
